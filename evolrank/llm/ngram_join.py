@@ -7,10 +7,10 @@ be skipped.  Every document picks its own L from the document frequencies of its
 tokens: a longer prefix costs more postings but lets fewer pairs through to
 verification.  A pair is judged by the smaller of its two L.
 
-Order of tokens: those whose hash lies in the low part of the hash range come
-first, rarest first; the rest follow by hash.  Only low tokens (and, for short
-sets, as many others as the longest prefix needs) are ever shuffled, and tokens
-of one document only are dropped after the exact count of all documents.
+Order of tokens: by hash, but a bounded list of the most frequent tokens comes
+last.  The list only steers the order, so it may be approximate without any
+effect on the result.  Only prefix tokens are shuffled, and those that a single
+document holds are dropped after an exact count over all documents.
 
 Documents with equal sets are one class.  Links inside large groups are first
 sought to one leader per posting list; lists whose members are by then in one
@@ -32,7 +32,7 @@ import hashlib
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .bitfilter import bit_filter
@@ -42,8 +42,9 @@ from .shingles import shingle_set
 
 SHINGLE_WORDS = 5
 PERCENT = 80
-MOST_MATCHES = 4  # largest L that a document may pick
-LOW_SHARE = 0.22  # part of the hash range whose tokens come first
+MOST_MATCHES = 6  # largest L that a document may pick
+FREQUENT, MOST_FREQUENT = 32, 200_000  # tokens put last: at least so frequent, at most so many
+BATCH_REPEATS = 3  # times a batch must hold a token for it to be counted as possibly frequent
 VERIFY_COST = 40.0  # of one verified pair, in postings read
 
 
@@ -60,67 +61,103 @@ def _first_print(k: int):
     return first
 
 
-def signatures(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = PERCENT, k: int = SHINGLE_WORDS) -> DataFrame:
-    """(id, n, n_low, h1, h2, low array, high array): set size, set fingerprint, and the tokens that a prefix may need."""
-    bar = np.uint64(int(LOW_SHARE * 2**64))
+def owed(n: Column, percent: int) -> Column:
+    """Fewest tokens that a set of n tokens shares with a similar one."""
+    return F.floor((n * percent + 99) / 100).cast("long")
 
+
+def signatures(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = SHINGLE_WORDS) -> DataFrame:
+    """(id, n, h1, h2, often): set size and fingerprint; one row of a batch also carries its repeated tokens."""
     def start():
         def work(texts):
-            n, n_low, h1, h2, low, high = [], [], [], [], [], []
+            sets = [shingle_set(t, k) for t in texts]
+            prints = [_print_of(s) for s in sets]
+            tokens, counts = np.unique(np.concatenate([np.zeros(0, np.uint64), *sets]), return_counts=True)
+            many = counts >= BATCH_REPEATS
+            often = [[{"token": int(t), "c": int(c)} for t, c in zip(tokens[many].view(np.int64), counts[many], strict=True)]]
+            return {"n": [len(s) for s in sets], "h1": [int(p[0]) for p in prints], "h2": [int(p[1]) for p in prints], "often": (often + [None] * len(texts))[: len(texts)]}
+
+        return work
+
+    return map_texts(docs, start, "n long, h1 long, h2 long, often array<struct<token:long,c:long>>", id_col, text_col)
+
+
+def frequent_tokens(marked: DataFrame) -> np.ndarray:
+    """Up to MOST_FREQUENT tokens that many documents hold, sorted.  They only steer the order of tokens."""
+    rows = (
+        marked.where(F.col("often").isNotNull()).select(F.explode("often").alias("o")).groupBy("o.token").agg(F.sum("o.c").alias("c"))
+        .where(F.col("c") >= FREQUENT).orderBy(F.desc("c"), "token").limit(MOST_FREQUENT).select("token").toPandas()
+    )
+    return np.sort(rows["token"].to_numpy(np.int64).view(np.uint64))
+
+
+def prefixes(docs: DataFrame, frequent: np.ndarray, percent: int = PERCENT, k: int = SHINGLE_WORDS) -> DataFrame:
+    """(d, n, tokens): the longest prefix that a document may pick, in the global order."""
+    held = docs.sparkSession.sparkContext.broadcast(frequent)
+
+    def start():
+        def work(texts):
+            late, sizes, cut = held.value, [], []
             for t in texts:
                 s = shingle_set(t, k)
                 m = len(s)
-                cut = int(np.searchsorted(s, bar))
-                need = m - -(-percent * m // 100) + MOST_MATCHES
-                a, b = _print_of(s)
-                n.append(m)
-                n_low.append(cut)
-                h1.append(int(a))
-                h2.append(int(b))
-                low.append(s[:cut].view(np.int64))
-                high.append(s[cut : max(cut, min(need, m))].view(np.int64))
-            flat = lambda xs: pa.LargeListArray.from_arrays(np.concatenate([[0], np.cumsum([len(x) for x in xs])]), np.concatenate([np.zeros(0, np.int64), *xs])).cast(pa.list_(pa.int64()))
-            return {"n": n, "n_low": n_low, "h1": h1, "h2": h2, "low": flat(low), "high": flat(high)}
+                if len(late) and m:
+                    is_late = late[np.minimum(np.searchsorted(late, s), len(late) - 1)] == s
+                    s = np.concatenate([s[~is_late], s[is_late]])
+                sizes.append(m)
+                cut.append(s[: m + (-percent * m // 100) + MOST_MATCHES].view(np.int64))
+            ends = np.concatenate([[0], np.cumsum([len(c) for c in cut])]).astype(np.int32)
+            return {"n": sizes, "tokens": pa.ListArray.from_arrays(ends, np.concatenate([np.zeros(0, np.int64), *cut]))}
 
         return work
 
-    return map_texts(docs, start, "n long, n_low long, h1 long, h2 long, low array<long>, high array<long>", id_col, text_col)
+    return map_texts(docs, start, "n long, tokens array<long>", "d")
 
 
 def prefix_postings(sets: DataFrame, classes: DataFrame, percent: int = PERCENT) -> DataFrame:
     """(token, d, n, ell, lev): prefix tokens of class representatives, with the level at which each enters.
 
-    ``sets``: (d, n, n_low, low, high), ``classes``: (d) of the representatives.
+    ``sets``: (d, n, tokens), ``classes``: (d) of the representatives.
     """
-    spread = sets.select("d", F.explode("low").alias("token"), F.lit(0).alias("h")).unionByName(
-        sets.select("d", F.posexplode("high").alias("p", "token")).select("d", "token", (F.col("p") + 1).alias("h"))
-    )
+    spread = sets.select("d", "n", F.posexplode("tokens").alias("p", "token"))
     shared = spread.groupBy("token").agg(F.count(F.lit(1)).alias("df")).where("df > 1")
-    kept = spread.join(shared, "token")
-    by_doc = Window.partitionBy("d")
-    sized = kept.join(sets.join(classes, "d", "left_semi").select("d", "n", "n_low"), "d")
-    # Tokens of one document only come first: a shared low token stands behind all of them.
-    lone = F.col("n_low") - F.sum(F.when(F.col("h") == 0, 1).otherwise(0)).over(by_doc)
-    rank = F.row_number().over(by_doc.orderBy(F.when(F.col("h") > 0, 1).otherwise(0), F.when(F.col("h") == 0, F.col("df")), "token"))
-    placed = sized.select("d", "token", "df", "n", F.when(F.col("h") == 0, lone + rank).otherwise(F.col("n_low") + F.col("h")).alias("pos"))
-    owed = F.floor((F.col("n") * percent + 99) / 100).cast("long")  # fewest tokens that a similar set shares
-    first = F.col("n") - owed
-    levelled = placed.withColumn("lev", F.greatest(F.lit(1), F.col("pos") - first)).where(F.col("lev") <= MOST_MATCHES)
+    kept = spread.join(shared, "token").join(classes, "d", "left_semi")
+    least = owed(F.col("n"), percent)
+    placed = kept.withColumn("lev", F.greatest(F.lit(1), F.col("p") + 1 - (F.col("n") - least)))
     # Estimated cost of each L: postings read, and pairs that can reach L matches.
+    by_doc = Window.partitionBy("d")
     reads = [F.sum(F.when(F.col("lev") <= ell, F.col("df") - 1).otherwise(0)).over(by_doc) for ell in range(1, MOST_MATCHES + 1)]
-    costs = [reads[ell - 1] * (1.0 + VERIFY_COST / ell) for ell in range(1, MOST_MATCHES + 1)]
-    priced = levelled.select("d", "token", "n", "lev", F.array(*costs).alias("costs"))
-    # A set of n tokens has no more than n levels, and no more than it must share.
-    most = F.least(F.lit(MOST_MATCHES), F.greatest(F.lit(1), owed.cast("int")))
-    usable = F.slice("costs", 1, most)
-    return priced.withColumn("ell", F.array_position(usable, F.array_min(usable)).cast("int")).where("lev <= ell").select("token", "d", "n", "ell", F.col("lev").cast("int").alias("lev"))
+    costs = F.array(*[reads[ell - 1] * (1.0 + VERIFY_COST / ell) for ell in range(1, MOST_MATCHES + 1)])
+    usable = F.slice(costs, 1, F.least(F.lit(MOST_MATCHES), F.greatest(F.lit(1), least.cast("int"))))
+    priced = placed.select("token", "d", "n", "lev", usable.alias("usable"))
+    return priced.withColumn("ell", F.array_position("usable", F.array_min("usable")).cast("int")).where("lev <= ell").select("token", "d", "n", "ell", F.col("lev").cast("int").alias("lev"))
+
 
+def _enough(met: DataFrame, percent: int) -> DataFrame:
+    """(a, b, hits) of pairs that share as many prefix tokens as a similar pair of their sizes must.
 
-def leader_pairs(postings: DataFrame) -> DataFrame:
+    A pair must share w = percent (na + nb) / (100 + percent) tokens in all, so
+    at most n - w of a set's tokens are its own, and the two L-prefixes share at
+    least L + w - max(owed) tokens: L for sets of very different size, more for
+    sets of similar size.  ``met``: (a, na, la, ea, b, nb, lb, eb) per common token.
+    """
+    ell = F.least("ea", "eb")
+    fits = met.where((F.col("la") <= ell) & (F.col("lb") <= ell) & (100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")))
+    counted = fits.groupBy("a", "b").agg(F.count(F.lit(1)).alias("hits"), F.min(ell).alias("ell"), F.min("na").alias("na"), F.min("nb").alias("nb"))
+    both = F.floor((percent * (F.col("na") + F.col("nb")) + 99 + percent) / (100 + percent)).cast("long")
+    return counted.where(F.col("hits") >= F.col("ell") + both - owed(F.greatest("na", "nb"), percent)).select("a", "b", "hits")
+
+
+def leader_pairs(postings: DataFrame, percent: int = PERCENT) -> DataFrame:
     """(a, b): each document with the list leader it meets most often."""
-    leaders = postings.groupBy("token").agg(F.min("d").alias("a"), F.count(F.lit(1)).alias("c")).where("c > 1").select("token", "a")
-    met = postings.join(leaders, "token").where(F.col("d") != F.col("a")).groupBy("a", F.col("d").alias("b")).agg(F.count(F.lit(1)).alias("c"))
-    return met.groupBy("b").agg(F.max(F.struct(F.col("c"), (-F.col("a")).alias("na"))).alias("m")).select((-F.col("m.na")).alias("a"), "b")
+    leaders = postings.groupBy("token").agg(F.min(F.struct("d", "n", "lev", "ell")).alias("m"), F.count(F.lit(1)).alias("c")).where("c > 1")
+    met = postings.join(leaders, "token").where(F.col("d") > F.col("m.d")).select(
+        F.col("m.d").alias("a"), F.col("m.n").alias("na"), F.col("m.lev").alias("la"), F.col("m.ell").alias("ea"),
+        F.col("d").alias("b"), F.col("n").alias("nb"), F.col("lev").alias("lb"), F.col("ell").alias("eb"),
+    )
+    # A leader is met on a part of the common tokens only, so the bar here is one hit.
+    best = met.groupBy("a", "b").agg(F.count(F.lit(1)).alias("hits"), F.min("na").alias("na"), F.min("nb").alias("nb")).where(100 * F.least("na", "nb") >= percent * F.greatest("na", "nb"))
+    return best.groupBy("b").agg(F.max(F.struct(F.col("hits"), F.bitwise_not("a").alias("na"))).alias("m")).select(F.bitwise_not("m.na").alias("a"), "b")
 
 
 def cross_pairs(postings: DataFrame, components: DataFrame, percent: int = PERCENT) -> DataFrame:
@@ -128,14 +165,10 @@ def cross_pairs(postings: DataFrame, components: DataFrame, percent: int = PERCE
     labelled = postings.join(components, postings["d"] == components["v"], "left").select("token", "d", "n", "ell", "lev", F.coalesce("component", "d").alias("c"))
     open_ = labelled.groupBy("token").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo < hi").select("token")
     live = materialise(labelled.join(open_, "token"))
-    x, y = live.alias("x"), live.alias("y")
-    ell = F.least("x.ell", "y.ell")
-    met = x.join(y, F.col("x.token") == F.col("y.token")).where(
-        (F.col("x.c") < F.col("y.c")) & (F.col("x.lev") <= ell) & (F.col("y.lev") <= ell)
-        & (100 * F.least("x.n", "y.n") >= percent * F.greatest("x.n", "y.n"))
-    )
-    counted = met.groupBy(F.col("x.d").alias("a"), F.col("y.d").alias("b")).agg(F.count(F.lit(1)).alias("hits"), F.min(ell).alias("ell"))
-    return counted.where("hits >= ell").select("a", "b")
+    x = live.select("token", F.col("d").alias("a"), F.col("n").alias("na"), F.col("lev").alias("la"), F.col("ell").alias("ea"), F.col("c").alias("ca"))
+    y = live.select("token", F.col("d").alias("b"), F.col("n").alias("nb"), F.col("lev").alias("lb"), F.col("ell").alias("eb"), F.col("c").alias("cb"))
+    met = x.join(y, "token").where(F.col("ca") < F.col("cb"))
+    return _enough(met, percent).select("a", "b")
 
 
 def candidate_texts(docs: DataFrame, ids: DataFrame) -> DataFrame:
@@ -167,9 +200,9 @@ def verified(pairs: DataFrame, texts: DataFrame, percent: int = PERCENT, k: int
 
 def similar_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = PERCENT, k: int = SHINGLE_WORDS) -> DataFrame:
     """(id, n_shingles, component_id) for every row of ``docs``."""
-    all_sets = materialise(signatures(docs, id_col, text_col, percent, k).withColumnRenamed(id_col, "d"))
+    marked = materialise(signatures(docs, id_col, text_col, k).withColumnRenamed(id_col, "d"))
     source = docs.select(docs[id_col].alias("d"), F.coalesce(docs[text_col].cast("string"), F.lit("")).alias("text")).where(F.col("d").isNotNull())
-    sets = all_sets.where(F.col("d").isNotNull() & (F.col("n") > 0))
+    sets = marked.where(F.col("d").isNotNull() & (F.col("n") > 0)).select("d", "n", "h1", "h2")
     aliases = None
     if not sets.groupBy("d").count().where("count > 1").isEmpty():
         # An id with several rows: its further texts stand as vertices of their own, tied to the id.
@@ -177,17 +210,18 @@ def similar_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
         named = sets.join(own, "d").withColumn("alias", F.when(F.col("h1") == F.col("own"), F.col("d")).otherwise(-2 - F.pmod(F.xxhash64("d", "h1"), F.lit((1 << 62) - 1))))
         named = materialise(named.dropDuplicates(["alias"]))
         aliases = named.where(F.col("alias") != F.col("d")).select("d", "alias", "h1")
-        sets = named.drop("d", "own").withColumnRenamed("alias", "d")
+        sets = named.select(F.col("alias").alias("d"), "n", "h1", "h2")
         texts_of = source.withColumn("h1", _first_print(k)(F.col("text"))).join(aliases, ["d", "h1"], "left")
-        source = texts_of.select(F.coalesce("alias", "d").alias("d"), "text").dropDuplicates(["d"])
+        source = materialise(texts_of.select(F.coalesce("alias", "d").alias("d"), "text").dropDuplicates(["d"]))
     by_set = sets.groupBy("h1", "h2").agg(F.min("d").alias("rep"), F.count(F.lit(1)).alias("c"))
     # Copies hang on the smallest id of their class; an id with several texts joins its classes.
     copies = sets.select("d", "h1", "h2").join(by_set.where("c > 1"), ["h1", "h2"]).where("d > rep").select(F.col("rep").alias("a"), F.col("d").alias("b"))
-    postings = materialise(prefix_postings(sets, by_set.select(F.col("rep").alias("d")), percent))
+    cut = materialise(prefixes(source, frequent_tokens(marked), percent, k))
+    postings = materialise(prefix_postings(cut, by_set.select(F.col("rep").alias("d")), percent))
     with_list = postings.groupBy("token").agg(F.count(F.lit(1)).alias("c")).where("c > 1")
     live = materialise(postings.join(with_list.select("token"), "token", "left_semi"))
     texts = candidate_texts(source, live.select("d"))
-    star = materialise(verified(leader_pairs(live), texts, percent, k))
+    star = materialise(verified(leader_pairs(live, percent), texts, percent, k))
     rest = materialise(verified(cross_pairs(live, connected_components(star), percent), texts, percent, k))
     links = star.unionByName(rest).unionByName(copies)
     if aliases is not None:
@@ -196,7 +230,7 @@ def similar_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     if aliases is not None:  # labels are real ids only
         real = found.join(aliases.select("alias"), F.col("v") == F.col("alias"), "left_anti")
         found = real.join(real.groupBy("component").agg(F.min("v").alias("least")), "component").select("v", F.col("least").alias("component"))
-    out = all_sets.select("d", F.col("n").alias("n_shingles")).join(found, F.col("d") == F.col("v"), "left")
+    out = marked.select("d", F.col("n").alias("n_shingles")).join(found, F.col("d") == F.col("v"), "left")
     return out.select(F.col("d").alias(id_col), "n_shingles", F.coalesce("component", "d").alias("component_id"))
 
 
