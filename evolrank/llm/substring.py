@@ -45,15 +45,24 @@ HOT_REGIONS = 20_000  # different regions of one anchor beyond which digests tak
 _WORDS = re.compile(WORD_PATTERN)
 
 
+def _sliding(x: np.ndarray, span: int, best) -> np.ndarray:
+    """``best`` (np.minimum or np.maximum) over every run of ``span`` values, by doubling."""
+    n, out, width = len(x) - span + 1, x, 1
+    while 2 * width <= span:
+        out = best(out[:-width], out[width:])
+        width *= 2
+    return best(out[:n], out[span - width : span - width + n])
+
+
 def anchor_positions(words: np.ndarray, window: int = WINDOW, k: int = ANCHOR) -> tuple[np.ndarray, np.ndarray]:
     """Places and hashes of the runs that are smallest in some window (all of them on ties)."""
     if len(words) < window:
         return np.zeros(0, np.int64), np.zeros(0, np.uint64)
     h = run_hashes(words, k)
     span = window - k + 1
-    least = np.lib.stride_tricks.sliding_window_view(h, span).min(axis=1)
+    least = _sliding(h, span, np.minimum)
     pad = np.zeros(span - 1, np.uint64)
-    reach = np.lib.stride_tricks.sliding_window_view(np.concatenate([pad, least, pad]), span).max(axis=1)
+    reach = _sliding(np.concatenate([pad, least, pad]), span, np.maximum)
     at = np.flatnonzero(reach == h)
     return at, h[at]
 
@@ -125,16 +134,43 @@ class FmIndex:
             out[pick] = np.minimum(self.low[k][lo[pick]], self.low[k][hi[pick] - 2**k])
         return out
 
-    def search(self, text: np.ndarray, ends: np.ndarray, window: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """Suffix ranges of the windows that end before ``ends``; those that occur once are given up early."""
-        live = np.arange(len(ends))
-        lo, hi = np.zeros(len(ends), np.int64), np.full(len(ends), len(text), np.int64)
-        for back in range(1, window + 1):
-            c = text[ends[live] - back]
-            lo, hi = self.first[c] + self.bwt.rank(c, lo), self.first[c] + self.bwt.rank(c, hi)
-            more = hi - lo > 1
-            live, lo, hi = live[more], lo[more], hi[more]
-        return live, lo, hi
+    def stream(self, text: np.ndarray, begins: np.ndarray, ends: np.ndarray, starts: np.ndarray, window: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(region, from, to) text intervals of matches of at least ``window`` symbols with an earlier start.
+
+        All regions are read backwards at once, one symbol a round.  A lane
+        extends its match while the suffix range still holds another occurrence,
+        and from ``window`` symbols on an earlier one.  A long match is reported
+        whole; the next match of that region must then reach further left, so
+        its end moves to where only windows not yet covered are left.
+        """
+        lane = np.flatnonzero(ends - begins >= window)
+        end, size = ends[lane].copy(), np.zeros(len(lane), np.int64)
+        lo, hi = np.zeros(len(lane), np.int64), np.full(len(lane), len(text), np.int64)
+        found: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+        while len(lane):
+            at = end - size - 1
+            more = at >= begins[lane]
+            c = text[np.maximum(at, 0)]
+            new_lo, new_hi = self.first[c] + self.bwt.rank(c, lo), self.first[c] + self.bwt.rank(c, hi)
+            good = more & (new_hi - new_lo > 1)
+            long_ = np.flatnonzero(good & (size + 1 >= window))
+            if len(long_):
+                good[long_] = self.earliest(new_lo[long_], new_hi[long_]) < starts[at[long_]]
+            stuck = ~good
+            hit = stuck & (size >= window)
+            if hit.any():
+                found.append((lane[hit], end[hit] - size[hit], end[hit]))
+            # After a report every window up to the match's left edge is covered: go on one symbol beyond it.
+            end = np.where(hit, end - size + window - 1, np.where(stuck, end - 1, end))
+            size = np.where(stuck, 0, size + 1)
+            lo, hi = np.where(stuck, 0, new_lo), np.where(stuck, len(text), new_hi)
+            keep = (end - begins[lane] >= window) & (more | ~hit)
+            if not keep.all():
+                lane, end, size, lo, hi = lane[keep], end[keep], size[keep], lo[keep], hi[keep]
+        if not found:
+            none = np.zeros(0, np.int64)
+            return none, none, none
+        return tuple(np.concatenate([f[i] for f in found]) for i in range(3))
 
 
 def repeated_in_shard(docs: np.ndarray, starts: np.ndarray, regions: list[str], window: int = WINDOW) -> list[tuple[int, int, int]]:
@@ -153,22 +189,8 @@ def repeated_in_shard(docs: np.ndarray, starts: np.ndarray, regions: list[str],
     fresh = (np.diff(d[order], prepend=-1) != 0) | (np.diff(p[order], prepend=-1) != 0)
     when = np.empty(len(text), np.int64)
     when[order] = np.cumsum(fresh)
-    index = FmIndex(text, when, window)
-    begins = np.flatnonzero(inner + window <= sizes[owner])
-    hit = []
-    for a in range(0, len(begins), 200_000):
-        part = begins[a : a + 200_000]
-        live, lo, hi = index.search(text, part + window, window)
-        if len(live):
-            hit.append(part[live[index.earliest(lo, hi) < when[part[live]]]])
-    out: list[tuple[int, int, int]] = []
-    for b in np.concatenate(hit) if hit else ():
-        r, f = int(owner[b]), int(inner[b])
-        if out and out[-1][0] == r and out[-1][2] >= f:
-            out[-1] = (r, out[-1][1], f + window)
-        else:
-            out.append((r, f, f + window))
-    return out
+    region, f, t = FmIndex(text, when, window).stream(text, offsets, offsets + sizes, when, window)
+    return list(zip(region.tolist(), (f - offsets[region]).tolist(), (t - offsets[region]).tolist(), strict=True))
 
 
 def anchors(docs: DataFrame, window: int = WINDOW, k: int = ANCHOR) -> DataFrame:
@@ -197,23 +219,29 @@ def region_rows(docs: DataFrame, places: DataFrame, window: int = WINDOW, k: int
     joined = docs.join(places, ["d", "tag"]).select("d", "tag", "text", "found")
     back = window - k
 
+    names = ("ah", "d", "tag", "start", "n", "region")
+
     def run(batches):
+        schema = None
         for batch in batches:
             ds, tags, texts, founds = (batch.column(i) for i in range(4))
-            out: dict = {c: [] for c in ("ah", "d", "tag", "start", "n", "region")}
-            for d, tag, text, found in zip(ds.to_pylist(), tags.to_pylist(), texts.to_pylist(), founds, strict=True):
-                words = _WORDS.findall(text)
-                values = found.values
-                for ah, pos in zip(values.field("ah").to_pylist(), values.field("pos").to_pylist(), strict=True):
-                    a = max(0, pos - back)
-                    piece = words[a : pos + window]
-                    out["ah"].append(ah)
-                    out["d"].append(d)
-                    out["tag"].append(tag)
-                    out["start"].append(a)
-                    out["n"].append(len(piece))
-                    out["region"].append(" ".join(piece))
-            yield pa.RecordBatch.from_pydict(out, schema=pa.schema([("ah", pa.int64()), ("d", ds.type), ("tag", pa.int64()), ("start", pa.int64()), ("n", pa.int64()), ("region", pa.string())]))
+            schema = schema or pa.schema([("ah", pa.int64()), ("d", ds.type), ("tag", pa.int64()), ("start", pa.int64()), ("n", pa.int64()), ("region", pa.string())])
+            out: dict = {c: [] for c in names}
+            for i in range(len(batch)):
+                words, d, tag = _WORDS.findall(texts[i].as_py()), ds[i].as_py(), tags[i].as_py()
+                values = founds[i].values
+                starts = np.maximum(values.field("pos").to_numpy().astype(np.int64) - back, 0).tolist()
+                pieces = [words[a : a + back + window] if a else words[: p + window] for a, p in zip(starts, values.field("pos").to_pylist(), strict=True)]
+                out["ah"] += values.field("ah").to_pylist()
+                out["d"] += [d] * len(starts)
+                out["tag"] += [tag] * len(starts)
+                out["start"] += starts
+                out["n"] += map(len, pieces)
+                out["region"] += map(" ".join, pieces)
+                if len(out["ah"]) > 20_000:  # one text's regions at most beyond this
+                    yield pa.RecordBatch.from_pydict(out, schema=schema)
+                    out = {c: [] for c in names}
+            yield pa.RecordBatch.from_pydict(out, schema=schema)
 
     kind = docs.schema["d"].dataType.simpleString()
     rows = joined.mapInArrow(run, f"ah long, d {kind}, tag long, start long, n long, region string")
