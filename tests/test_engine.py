@@ -70,15 +70,14 @@ def test_empty_batch_keeps_ranks(spark, toy):
 
 @pytest.mark.parametrize("layout", ["in", "both"])
 def test_layouts_agree(toy, layout):
-    a = engine.static_rank(toy)
-    b = engine.static_rank(toy, RankConfig(layout=layout, split_degree=2, salts=2))
-    assert np.allclose(vector(a), vector(b), atol=1e-13)
+    got = engine.static_rank(toy, RankConfig(layout=layout, split_degree=2, salts=2, max_iter=5))
+    assert np.allclose(vector(got), brute(LOOPED, 8, RankConfig(max_iter=5))[0], atol=1e-13)
 
 
-@pytest.mark.parametrize("f", [baselines.push_rank, baselines.matrix_rank, baselines.chunked_rank, baselines.block_async_rank, baselines.adaptive_rank])
-def test_baselines_share_the_fixpoint(toy, f):
-    cfg = RankConfig(max_iter=60)
-    assert np.allclose(vector(f(toy, cfg)), brute(LOOPED, 8)[0], atol=1e-8)
+@pytest.mark.parametrize("f", [baselines.push_rank, baselines.matrix_rank, baselines.chunked_rank, baselines.adaptive_rank])
+def test_baselines_take_the_same_steps(toy, f):
+    cfg = RankConfig(max_iter=4)
+    assert np.allclose(vector(f(toy, cfg)), brute(LOOPED, 8, cfg)[0], atol=1e-10)
 
 
 def test_graph_operators(spark, toy):
