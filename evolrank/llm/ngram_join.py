@@ -5,7 +5,9 @@ are in one global order, the first L shared tokens lie in both L-prefixes
 (n - ceil(t n) + L tokens), so a pair that shares fewer than L tokens there can
 be skipped.  Every document picks its own L from the document frequencies of its
 tokens: a longer prefix costs more postings but lets fewer pairs through to
-verification.  A pair is judged by the smaller of its two L.
+verification.  A pair is judged by the smaller of its two L.  Across components
+the partner's size class is known, which allows shorter prefixes, and documents
+with too few open tokens for any partner of a class are left out before the join.
 
 Order of tokens: by hash, but a bounded list of the most frequent tokens comes
 last.  The list only steers the order, so it may be approximate without any
@@ -13,7 +15,7 @@ effect on the result.  Only prefix tokens are shuffled, and those that a single
 document holds are dropped after an exact count over all documents.
 
 Documents with equal sets are one class.  Links inside large groups are first
-sought to one leader per posting list; lists whose members are by then in one
+sought to one leader per posting list, in turns; lists whose members are by then in one
 component yield no further pairs, so a group of n near copies does not make n^2
 pairs.  All pairs across components are then generated and verified exactly on
 the full sets.
@@ -28,6 +30,7 @@ shingle and 128 per set.
 from __future__ import annotations
 
 import hashlib
+import math
 
 import numpy as np
 import pandas as pd
@@ -46,6 +49,9 @@ MOST_MATCHES = 6  # largest L that a document may pick
 FREQUENT, MOST_FREQUENT = 32, 200_000  # tokens put last: at least so frequent, at most so many
 BATCH_REPEATS = 3  # times a batch must hold a token for it to be counted as possibly frequent
 VERIFY_COST = 40.0  # of one verified pair, in postings read
+CLASS_RATIO = 1.02  # between neighbouring size classes of a posting list
+MOST_CROSS = 4  # largest L across components, where shorter prefixes meet in fewer lists
+MOST_TURNS, PAIRS_PER_POSTING = 8, 8  # turns of comparing with leaders, and the pairs a posting that end them
 
 
 def _print_of(s: np.ndarray) -> np.ndarray:
@@ -115,7 +121,7 @@ def prefixes(docs: DataFrame, frequent: np.ndarray, percent: int = PERCENT, k: i
 
 
 def prefix_postings(sets: DataFrame, classes: DataFrame, percent: int = PERCENT) -> DataFrame:
-    """(token, d, n, ell, lev): prefix tokens of class representatives, with the level at which each enters.
+    """(token, d, n, p, ell, lev): prefix tokens at place p of class representatives, with the level at which each enters.
 
     ``sets``: (d, n, tokens), ``classes``: (d) of the representatives.
     """
@@ -129,46 +135,99 @@ def prefix_postings(sets: DataFrame, classes: DataFrame, percent: int = PERCENT)
     reads = [F.sum(F.when(F.col("lev") <= ell, F.col("df") - 1).otherwise(0)).over(by_doc) for ell in range(1, MOST_MATCHES + 1)]
     costs = F.array(*[reads[ell - 1] * (1.0 + VERIFY_COST / ell) for ell in range(1, MOST_MATCHES + 1)])
     usable = F.slice(costs, 1, F.least(F.lit(MOST_MATCHES), F.greatest(F.lit(1), least.cast("int"))))
-    priced = placed.select("token", "d", "n", "lev", usable.alias("usable"))
-    return priced.withColumn("ell", F.array_position("usable", F.array_min("usable")).cast("int")).where("lev <= ell").select("token", "d", "n", "ell", F.col("lev").cast("int").alias("lev"))
+    priced = placed.select("token", "d", "n", "p", "lev", usable.alias("usable"))
+    return priced.withColumn("ell", F.array_position("usable", F.array_min("usable")).cast("int")).where("lev <= ell").select("token", "d", "n", "p", "ell", F.col("lev").cast("int").alias("lev"))
 
 
-def _enough(met: DataFrame, percent: int) -> DataFrame:
-    """(a, b, hits) of pairs that share as many prefix tokens as a similar pair of their sizes must.
+def leader_pairs(postings: DataFrame, turn: int = 0, percent: int = PERCENT) -> DataFrame:
+    """(a, b): each document with the leader, from another component, that it meets most often.
 
-    A pair must share w = percent (na + nb) / (100 + percent) tokens in all, so
-    at most n - w of a set's tokens are its own, and the two L-prefixes share at
-    least L + w - max(owed) tokens: L for sets of very different size, more for
-    sets of similar size.  ``met``: (a, na, la, ea, b, nb, lb, eb) per common token.
+    ``postings`` carry the component c.  A list's first leader is the member that has
+    its token at the earliest place: it has the fewest tokens of its own, as the
+    text that others were copied from.  Later leaders come in an order that changes
+    with the turn and is the same for all lists.
     """
-    ell = F.least("ea", "eb")
-    fits = met.where((F.col("la") <= ell) & (F.col("lb") <= ell) & (100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")))
-    counted = fits.groupBy("a", "b").agg(F.count(F.lit(1)).alias("hits"), F.min(ell).alias("ell"), F.min("na").alias("na"), F.min("nb").alias("nb"))
-    both = F.floor((percent * (F.col("na") + F.col("nb")) + 99 + percent) / (100 + percent)).cast("long")
-    return counted.where(F.col("hits") >= F.col("ell") + both - owed(F.greatest("na", "nb"), percent)).select("a", "b", "hits")
-
-
-def leader_pairs(postings: DataFrame, percent: int = PERCENT) -> DataFrame:
-    """(a, b): each document with the list leader it meets most often."""
-    leaders = postings.groupBy("token").agg(F.min(F.struct("d", "n", "lev", "ell")).alias("m"), F.count(F.lit(1)).alias("c")).where("c > 1")
-    met = postings.join(leaders, "token").where(F.col("d") > F.col("m.d")).select(
-        F.col("m.d").alias("a"), F.col("m.n").alias("na"), F.col("m.lev").alias("la"), F.col("m.ell").alias("ea"),
-        F.col("d").alias("b"), F.col("n").alias("nb"), F.col("lev").alias("lb"), F.col("ell").alias("eb"),
-    )
+    order = F.struct((F.xxhash64(F.lit(turn), "d") if turn else F.col("p").cast("long")).alias("o"), "d", "n", "c")
+    leaders = postings.groupBy("token").agg(F.min(order).alias("m"), F.count(F.lit(1)).alias("k")).where("k > 1").select("token", "m")
     # A leader is met on a part of the common tokens only, so the bar here is one hit.
-    best = met.groupBy("a", "b").agg(F.count(F.lit(1)).alias("hits"), F.min("na").alias("na"), F.min("nb").alias("nb")).where(100 * F.least("na", "nb") >= percent * F.greatest("na", "nb"))
+    met = postings.join(leaders, "token").where((F.col("c") != F.col("m.c")) & (100 * F.least("n", "m.n") >= percent * F.greatest("n", "m.n")))
+    best = met.groupBy(F.col("m.d").alias("a"), F.col("d").alias("b")).agg(F.count(F.lit(1)).alias("hits"))
     return best.groupBy("b").agg(F.max(F.struct(F.col("hits"), F.bitwise_not("a").alias("na"))).alias("m")).select(F.bitwise_not("m.na").alias("a"), "b")
 
 
-def cross_pairs(postings: DataFrame, components: DataFrame, percent: int = PERCENT) -> DataFrame:
+def labelled(postings: DataFrame, components: DataFrame) -> DataFrame:
+    """Postings of the lists whose members are in several components, with the component c and the list's range of sizes."""
+    named = postings.join(components, postings["d"] == components["v"], "left").select("token", "d", "n", "p", "ell", "lev", F.coalesce("component", "d").alias("c"))
+    open_ = named.groupBy("token").agg(F.min("c").alias("lo"), F.max("c").alias("hi"), F.min("n").alias("n_lo"), F.max("n").alias("n_hi")).where("lo < hi").drop("lo", "hi")
+    return materialise(named.join(open_, "token"))
+
+
+def pairs_ahead(live: DataFrame) -> tuple[int, int]:
+    """Pairs across components that the lists would yield, and postings, counted exactly."""
+    shares = live.groupBy("token", "c").agg(F.count(F.lit(1)).alias("k")).groupBy("token").agg(F.sum("k").alias("n"), F.sum(F.col("k") * F.col("k")).alias("sq"))
+    got = shares.agg(F.sum(F.expr("(n * n - sq) div 2")), F.sum("n")).first()
+    return int(got[0] or 0), int(got[1] or 0)
+
+
+def leader_links(postings: DataFrame, texts: DataFrame, percent: int = PERCENT, k: int = SHINGLE_WORDS) -> tuple[DataFrame, DataFrame]:
+    """Links found by comparing documents with list leaders, turn by turn, and the postings that stay open.
+
+    A turn reads each posting once.  Turns go on while the pairs that are left far
+    outnumber the postings and the last turn helped; what they miss is found by
+    ``cross_pairs``, so their number has no effect on the result.
+    """
+    live, links, ahead = postings.withColumn("c", F.col("d")), None, math.inf
+    for turn in range(MOST_TURNS):
+        found = verified(leader_pairs(live, turn, percent), texts, percent, k)
+        links = materialise(found if links is None else links.unionByName(found))
+        live = labelled(postings, connected_components(links))
+        before, (ahead, rows) = ahead, pairs_ahead(live)
+        if ahead <= PAIRS_PER_POSTING * rows or (turn and ahead > 0.9 * before):
+            break
+    return links, live
+
+
+def _size_class(n: Column) -> Column:
+    return F.floor(F.log(n.cast("double")) / math.log(CLASS_RATIO)).cast("int")
+
+
+def _with_hope(live: DataFrame, larger_partner: bool, percent: int) -> DataFrame:
+    """Postings once per size class of the partner sought, without those that no partner can be similar to.
+
+    Similar sets of n and m tokens share w = percent (n + m) / (100 + percent), so
+    their first ell common tokens are among the first n - w + ell of each.  Taking
+    the least m of the class makes the prefix shorter than one for any partner.  A
+    document that has fewer than ell open postings there, at every ell up to its
+    own, cannot have a partner in the class.
+    """
+    g, n = F.col("g"), F.col("n")
+    steps = math.floor(math.log(100 / percent) / math.log(CLASS_RATIO)) + 1
+    reach = (F.col("g_hi") - g) if larger_partner else (g - F.col("g_lo"))
+    spread = live.withColumn("step", F.explode(F.sequence(F.lit(0), F.least(F.lit(steps), reach))))
+    partner = g + F.col("step") if larger_partner else g - F.col("step")
+    least = F.greatest(F.floor(F.pow(F.lit(CLASS_RATIO), partner) * (1 - 1e-9)).cast("long"), owed(n, percent))
+    shared = F.floor((percent * (n + least) + 99 + percent) / (100 + percent)).cast("long")
+    tight = spread.where(100 * n >= percent * least).withColumn("lev", F.greatest(F.lit(1), F.col("p") + 1 - (n - shared)).cast("int")).where("lev <= ell")
+    one = Window.partitionBy("d", "step")
+    held = [F.sum((F.col("lev") <= ell).cast("int")).over(one) for ell in range(1, MOST_MATCHES + 1)]
+    most = F.greatest(F.lit(0), *[F.when((F.col("ell") >= ell) & (held[ell - 1] >= ell), ell).otherwise(0) for ell in range(1, MOST_MATCHES + 1)])
+    key = g if larger_partner else partner
+    return tight.withColumn("most", most).where("lev <= most").select("token", key.alias("small"), "step", "d", "n", "p", "ell", "lev", "c")
+
+
+def cross_pairs(live: DataFrame, percent: int = PERCENT) -> DataFrame:
     """(a, b) of every pair in different components that shares enough prefix tokens."""
-    labelled = postings.join(components, postings["d"] == components["v"], "left").select("token", "d", "n", "ell", "lev", F.coalesce("component", "d").alias("c"))
-    open_ = labelled.groupBy("token").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo < hi").select("token")
-    live = materialise(labelled.join(open_, "token"))
-    x = live.select("token", F.col("d").alias("a"), F.col("n").alias("na"), F.col("lev").alias("la"), F.col("ell").alias("ea"), F.col("c").alias("ca"))
-    y = live.select("token", F.col("d").alias("b"), F.col("n").alias("nb"), F.col("lev").alias("lb"), F.col("ell").alias("eb"), F.col("c").alias("cb"))
-    met = x.join(y, "token").where(F.col("ca") < F.col("cb"))
-    return _enough(met, percent).select("a", "b")
+    ends = {at: _size_class(F.col("n" + at)) for at in ("", "_lo", "_hi")}
+    classed = live.withColumns({"g" + at: g for at, g in ends.items()}).withColumn("ell", F.least("ell", F.lit(MOST_CROSS)))
+    side = lambda df, at: df.select("token", "small", "step", F.col("d").alias(at), F.col("n").alias("n" + at), F.col("p").alias("p" + at), F.col("lev").alias("l" + at), F.col("ell").alias("e" + at), F.col("c").alias("c" + at))
+    x, y = side(_with_hope(classed, True, percent), "a"), side(_with_hope(classed, False, percent), "b")
+    met = x.join(y, ["token", "small", "step"]).where((F.col("ca") != F.col("cb")) & ((F.col("step") > 0) | (F.col("ca") < F.col("cb"))))
+    ell = F.least("ea", "eb")
+    # Common tokens before and after this one are no more than the shorter of the two stretches.
+    room = F.least("pa", "pb") + F.least(F.col("na") - F.col("pa"), F.col("nb") - F.col("pb"))
+    near = ((100 + percent) * room >= percent * (F.col("na") + F.col("nb"))) & (100 * F.least("na", "nb") >= percent * F.greatest("na", "nb"))
+    fits = met.where((F.col("la") <= ell) & (F.col("lb") <= ell) & near)
+    return fits.groupBy("a", "b").agg(F.count(F.lit(1)).alias("hits"), F.min(ell).alias("ell")).where("hits >= ell").select("a", "b")
 
 
 def candidate_texts(docs: DataFrame, ids: DataFrame) -> DataFrame:
@@ -221,8 +280,8 @@ def similar_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     with_list = postings.groupBy("token").agg(F.count(F.lit(1)).alias("c")).where("c > 1")
     live = materialise(postings.join(with_list.select("token"), "token", "left_semi"))
     texts = candidate_texts(source, live.select("d"))
-    star = materialise(verified(leader_pairs(live, percent), texts, percent, k))
-    rest = materialise(verified(cross_pairs(live, connected_components(star), percent), texts, percent, k))
+    star, open_lists = leader_links(live, texts, percent, k)
+    rest = materialise(verified(cross_pairs(open_lists, percent), texts, percent, k))
     links = star.unionByName(rest).unionByName(copies)
     if aliases is not None:
         links = links.unionByName(aliases.select(F.col("d").alias("a"), F.col("alias").alias("b")))
