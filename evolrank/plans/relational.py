@@ -53,3 +53,11 @@ query("set_except", _PF + "SELECT src, dst FROM plain EXCEPT SELECT dst, src FRO
 query("win_tumbling_batches", "SELECT date_trunc('day', ts) AS day, count(*) AS n FROM events GROUP BY 1")(lambda spark, sf: _t(spark, sf, "events").groupBy(F.date_trunc("day", "ts").alias("day")).agg(F.count("*").alias("n")))
 query("fn_json_props", "SELECT event_id, CAST(json_extract_string(props, '$.k') AS INTEGER) AS k FROM events")(
     lambda spark, sf: _t(spark, sf, "events").select("event_id", F.from_json("props", "k int")["k"].alias("k")))
+query("agg_grouping_sets", "SELECT p_brand, p_size, count(*) AS n FROM part GROUP BY GROUPING SETS ((p_brand), (p_size), ())")(
+    lambda spark, sf: _t(spark, sf, "part").groupingSets([[F.col("p_brand")], [F.col("p_size")], []], "p_brand", "p_size").agg(F.count("*").alias("n")))
+query("join_outer_degrees", _PF + ", o AS (SELECT src AS v, count(*) AS outs FROM plain GROUP BY src), i AS (SELECT dst AS v, count(*) AS ins FROM plain GROUP BY dst) SELECT v, coalesce(outs, 0) AS outs, coalesce(ins, 0) AS ins FROM o FULL JOIN i USING (v)")(
+    lambda spark, sf: (lambda e: e.groupBy(F.col("src").alias("v")).agg(F.count("*").alias("outs")).join(e.groupBy(F.col("dst").alias("v")).agg(F.count("*").alias("ins")), "v", "full").select("v", F.coalesce("outs", F.lit(0)).cast("long").alias("outs"), F.coalesce("ins", F.lit(0)).cast("long").alias("ins")))(_flow(spark, sf)))
+query("set_union", _PF + "SELECT src, dst FROM plain UNION SELECT dst, src FROM plain")(lambda spark, sf: (lambda e: e.select("src", "dst").union(e.select("dst", "src")).distinct())(_flow(spark, sf)))
+query("limit_offset", "SELECT o_orderkey FROM orders ORDER BY o_orderkey LIMIT 10 OFFSET 5")(lambda spark, sf: _t(spark, sf, "orders").select("o_orderkey").orderBy("o_orderkey").offset(5).limit(10))
+query("win_last_value", "SELECT event_id, last_value(CASE WHEN value > 50 THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS last_large FROM events")(
+    lambda spark, sf: _t(spark, sf, "events").select("event_id", F.last(F.when(F.col("value") > 50, F.col("event_id")), True).over(Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(Window.unboundedPreceding, 0)).alias("last_large")))
