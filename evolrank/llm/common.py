@@ -17,6 +17,8 @@ SPACES = " \t\n\x0b\x0c\r"
 WORD_PATTERN = r"[^\x20\x09-\x0D]+"
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
+_PATHS: dict[int, tuple[DataFrame, str]] = {}  # written tables that are not released yet
+
 
 def ascii_lower(text: Column) -> Column:
     """Lower-case A-Z only.  Pure ASCII values take the fast built-in."""
@@ -50,14 +52,33 @@ def shared_folder(spark: SparkSession) -> str:
 def materialise(df: DataFrame) -> DataFrame:
     """Write a table to the shared folder and read it back: lineage ends there.
 
-    The files survive the loss of any executor.  They are removed when the
-    driver process ends.
+    The files survive the loss of any executor.  They are removed by ``release``,
+    or else when the driver process ends.
     """
     spark = df.sparkSession
     path = f"{shared_folder(spark).rstrip('/')}/evolrank-{uuid.uuid4().hex}"
     df.write.parquet(path)
     atexit.register(_remove, spark, path)
-    return spark.read.schema(df.schema).parquet(path)
+    made = spark.read.schema(df.schema).parquet(path)
+    _PATHS[id(made)] = (made, path)
+    _free_shuffles(spark)
+    return made
+
+
+def release(*tables: DataFrame) -> None:
+    """Delete tables of ``materialise`` once nothing that still has to run reads them."""
+    for df in tables:
+        made, path = _PATHS.pop(id(df))
+        _remove(made.sparkSession, path)
+
+
+def _free_shuffles(spark: SparkSession) -> None:
+    """Let Spark's cleaner delete the shuffle files of finished queries.
+
+    It finds them when the driver's heap is collected, which may otherwise take
+    half an hour; until then they fill the executors' disks.
+    """
+    spark.sparkContext._jvm.System.gc()
 
 
 def _remove(spark: SparkSession, path: str) -> None:

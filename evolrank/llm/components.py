@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise
+from .common import materialise, release
 
 
 def _smallest(pairs: DataFrame) -> DataFrame:
@@ -29,11 +29,12 @@ def connected_components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
         large = both.where(F.col("v") > F.col("u")).join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
         # Small star: smaller neighbours of u, and u itself, hang on the smallest of them.
         small = large.join(_smallest(large), "u")
-        now = materialise(
+        last, now = now, materialise(
             small.where(F.col("v") != F.col("m")).select(F.col("v").alias("u"), F.col("m").alias("v"))
             .unionByName(small.select("u", F.col("m").alias("v")))
             .where(F.col("u") != F.col("v")).distinct()
         )
+        release(last)
         seen = now.agg(F.count(F.lit(1)), F.bit_xor(F.xxhash64("u", "v")), F.coalesce(F.sum(F.pmod(F.xxhash64("v", "u"), F.lit(1 << 20))), F.lit(0))).first()
         if seen == mark:
             break

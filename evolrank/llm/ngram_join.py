@@ -39,7 +39,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .bitfilter import bit_filter
-from .common import map_texts, materialise, table
+from .common import map_texts, materialise, release, table
 from .components import connected_components
 from .shingles import shingle_set
 
@@ -179,7 +179,9 @@ def leader_links(postings: DataFrame, texts: DataFrame, percent: int = PERCENT,
     live, links, ahead = postings.withColumn("c", F.col("d")), None, math.inf
     for turn in range(MOST_TURNS):
         found = verified(leader_pairs(live, turn, percent), texts, percent, k)
-        links = materialise(found if links is None else links.unionByName(found))
+        earlier, links = links, materialise(found if links is None else links.unionByName(found))
+        if turn:
+            release(earlier, live)
         live = labelled(postings, connected_components(links))
         before, (ahead, rows) = ahead, pairs_ahead(live)
         if ahead <= PAIRS_PER_POSTING * rows or (turn and ahead > 0.9 * before):
@@ -277,11 +279,17 @@ def similar_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     copies = sets.select("d", "h1", "h2").join(by_set.where("c > 1"), ["h1", "h2"]).where("d > rep").select(F.col("rep").alias("a"), F.col("d").alias("b"))
     cut = materialise(prefixes(source, frequent_tokens(marked), percent, k))
     postings = materialise(prefix_postings(cut, by_set.select(F.col("rep").alias("d")), percent))
+    release(cut)
     with_list = postings.groupBy("token").agg(F.count(F.lit(1)).alias("c")).where("c > 1")
     live = materialise(postings.join(with_list.select("token"), "token", "left_semi"))
+    release(postings)
     texts = candidate_texts(source, live.select("d"))
     star, open_lists = leader_links(live, texts, percent, k)
-    rest = materialise(verified(cross_pairs(open_lists, percent), texts, percent, k))
+    release(live)
+    pairs = materialise(cross_pairs(open_lists, percent))
+    release(open_lists)
+    rest = materialise(verified(pairs, texts, percent, k))
+    release(texts, pairs)
     links = star.unionByName(rest).unionByName(copies)
     if aliases is not None:
         links = links.unionByName(aliases.select(F.col("d").alias("a"), F.col("alias").alias("b")))
