@@ -9,16 +9,17 @@ _SPACE[[0x20, *range(0x09, 0x0E)]] = True
 _FOLD = np.arange(256, dtype=np.uint8)
 _FOLD[0x41:0x5B] += 0x20
 _BASE, _MIX1, _MIX2, _STEP = (np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x94D049BB133111EB, 0xD6E8FEB86659FD93))
-_power = np.array([1], dtype=np.uint64)
+_INVERSE = np.uint64(pow(int(_BASE), -1, 1 << 64))
+_held = {False: np.ones(1, np.uint64), True: np.ones(1, np.uint64)}
 
 
-def _powers(n: int) -> np.ndarray:
-    global _power
-    if len(_power) < n:
-        size = max(n, 2 * len(_power))
+def powers(n: int, inverse: bool = False) -> np.ndarray:
+    """At least n powers of the base, or of its inverse, modulo 2^64."""
+    if len(_held[inverse]) < n:
+        size = max(n, 2 * len(_held[inverse]))
         with np.errstate(over="ignore"):
-            _power = np.cumprod(np.concatenate([[np.uint64(1)], np.full(size, _BASE)]), dtype=np.uint64)
-    return _power
+            _held[inverse] = np.cumprod(np.concatenate([np.ones(1, np.uint64), np.full(size, _INVERSE if inverse else _BASE)]), dtype=np.uint64)
+    return _held[inverse]
 
 
 def mix(x: np.ndarray) -> np.ndarray:
@@ -45,7 +46,7 @@ def word_hashes(raw: np.ndarray, starts: np.ndarray, ends: np.ndarray, fold: boo
     at = np.repeat(starts - np.concatenate([[0], np.cumsum(sizes)[:-1]]), sizes) + np.arange(sizes.sum())
     letters = (_FOLD[raw[at]] if fold else raw[at]).astype(np.uint64) + np.uint64(1)
     local = at - np.repeat(starts, sizes)
-    sums = np.add.reduceat(letters * _powers(int(sizes.max()) + 1)[local], np.concatenate([[0], np.cumsum(sizes)[:-1]]))
+    sums = np.add.reduceat(letters * powers(int(sizes.max()) + 1)[local], np.concatenate([[0], np.cumsum(sizes)[:-1]]))
     return mix(sums + sizes.astype(np.uint64) * _STEP)
 
 

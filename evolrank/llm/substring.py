@@ -8,9 +8,10 @@ only the few words around them can take part in a repeated window.
 
 1. Anchors of every text are found (numpy sliding minimum) and counted; exact
    copies of whole texts are settled by their digest beforehand.
-2. The regions around repeated anchors are cut out.  Equal regions collapse to
+2. Equal regions around a repeated anchor are found by digest and collapse to
    their first occurrence; every later occurrence goes as a whole.
-3. The different regions of an anchor are indexed per shard: a Burrows-Wheeler
+3. Words are cut out for anchors whose regions differ, and only for these.  The
+   different regions of an anchor are indexed per shard: a Burrows-Wheeler
    transform in a wavelet matrix of packed bit vectors.  All windows of all
    regions are streamed through backward search at once; a window whose suffix
    range holds an earlier start is reported.  Shards are bounded; an anchor
@@ -35,11 +36,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .bitfilter import bit_filter
-from .common import WORD_PATTERN, map_texts, materialise, table
-from .shingles import encode, run_hashes, word_hashes, word_spans
+from .common import WORD_PATTERN, map_texts, materialise, release, table
+from .shingles import encode, mix, powers, run_hashes, word_hashes, word_spans
 
 WINDOW = 20
-ANCHOR = 6
+ANCHOR = 10
 SHARD_REGIONS = 6_000  # regions that a shard holds on average
 HOT_REGIONS = 20_000  # different regions of one anchor beyond which digests take over
 _WORDS = re.compile(WORD_PATTERN)
@@ -193,65 +194,72 @@ def repeated_in_shard(docs: np.ndarray, starts: np.ndarray, regions: list[str],
     return list(zip(region.tolist(), (f - offsets[region]).tolist(), (t - offsets[region]).tolist(), strict=True))
 
 
+def region_prints(words: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """A 64-bit hash of each run words[start:end], from sums of all words before a place."""
+    up, down = powers(len(words) + 1), powers(len(words) + 1, inverse=True)
+    sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(words * up[: len(words)])])
+    return mix((sums[ends] - sums[starts]) * down[starts] + (ends - starts).astype(np.uint64))
+
+
 def anchors(docs: DataFrame, window: int = WINDOW, k: int = ANCHOR) -> DataFrame:
-    """(d, tag, ah array, pos array) of every text long enough; docs: (d, tag, text)."""
+    """(d, tag, found array<struct<ah,rh,start,n>>): anchors of every text long enough, each with the region around it.
+
+    A region holds all windows of an anchor: n words from ``start``, with the digest rh.  docs: (d, tag, text).
+    """
     def start():
         def work(texts):
-            hashes, places = [], []
+            parts: list[list[np.ndarray]] = [[], [], [], []]
             for t in texts:
                 raw = encode(t)
-                at, h = anchor_positions(word_hashes(raw, *word_spans(raw), fold=False), window, k)
-                hashes.append(h.view(np.int64))
-                places.append(at.astype(np.int32))
-            ends = np.concatenate([[0], np.cumsum([len(x) for x in hashes])]).astype(np.int32)
-            both = pa.StructArray.from_arrays([np.concatenate([np.zeros(0, np.int64), *hashes]), np.concatenate([np.zeros(0, np.int32), *places])], ["ah", "pos"])
-            return {"found": pa.ListArray.from_arrays(ends, both)}
+                words = word_hashes(raw, *word_spans(raw), fold=False)
+                at, h = anchor_positions(words, window, k)
+                begins, ends = np.maximum(at - (window - k), 0), np.minimum(at + window, len(words))
+                for held, x in zip(parts, (h.view(np.int64), region_prints(words, begins, ends).view(np.int64), begins.astype(np.int32), (ends - begins).astype(np.int32)), strict=True):
+                    held.append(x)
+            ends = np.concatenate([[0], np.cumsum([len(x) for x in parts[0]])]).astype(np.int32)
+            kinds = (np.int64, np.int64, np.int32, np.int32)
+            fields = pa.StructArray.from_arrays([np.concatenate([np.zeros(0, t), *x]) for t, x in zip(kinds, parts, strict=True)], ["ah", "rh", "start", "n"])
+            return {"found": pa.ListArray.from_arrays(ends, fields)}
 
         return work
 
     keyed = docs.select(F.struct("d", "tag").alias("k"), "text")
-    found = map_texts(keyed, start, "found array<struct<ah:long,pos:int>>", "k")
+    found = map_texts(keyed, start, "found array<struct<ah:long,rh:long,start:int,n:int>>", "k")
     return found.where(F.size("found") > 0).select("k.d", "k.tag", "found")
 
 
-def region_rows(docs: DataFrame, places: DataFrame, window: int = WINDOW, k: int = ANCHOR) -> DataFrame:
-    """(ah, d, tag, start, n, region, k1, k2) around each repeated anchor; places: (d, tag, found array)."""
+def region_rows(docs: DataFrame, places: DataFrame) -> DataFrame:
+    """(d, tag, ah, kinds, start, region): the words of each region; places: (d, tag, found array<struct<ah,kinds,start,n>>)."""
     joined = docs.join(places, ["d", "tag"]).select("d", "tag", "text", "found")
-    back = window - k
-
-    names = ("ah", "d", "tag", "start", "n", "region")
+    names = ("d", "tag", "ah", "kinds", "start", "region")
 
     def run(batches):
-        schema = None
         for batch in batches:
             ds, tags, texts, founds = (batch.column(i) for i in range(4))
-            schema = schema or pa.schema([("ah", pa.int64()), ("d", ds.type), ("tag", pa.int64()), ("start", pa.int64()), ("n", pa.int64()), ("region", pa.string())])
+            schema = pa.schema([("d", ds.type), ("tag", pa.int64()), ("ah", pa.int64()), ("kinds", pa.int64()), ("start", pa.int64()), ("region", pa.string())])
             out: dict = {c: [] for c in names}
             for i in range(len(batch)):
-                words, d, tag = _WORDS.findall(texts[i].as_py()), ds[i].as_py(), tags[i].as_py()
-                values = founds[i].values
-                starts = np.maximum(values.field("pos").to_numpy().astype(np.int64) - back, 0).tolist()
-                pieces = [words[a : a + back + window] if a else words[: p + window] for a, p in zip(starts, values.field("pos").to_pylist(), strict=True)]
+                words, values = _WORDS.findall(texts[i].as_py()), founds[i].values
+                starts, sizes = values.field("start").to_pylist(), values.field("n").to_pylist()
+                out["d"] += [ds[i].as_py()] * len(starts)
+                out["tag"] += [tags[i].as_py()] * len(starts)
                 out["ah"] += values.field("ah").to_pylist()
-                out["d"] += [d] * len(starts)
-                out["tag"] += [tag] * len(starts)
+                out["kinds"] += values.field("kinds").to_pylist()
                 out["start"] += starts
-                out["n"] += map(len, pieces)
-                out["region"] += map(" ".join, pieces)
+                out["region"] += [" ".join(words[a : a + n]) for a, n in zip(starts, sizes, strict=True)]
                 if len(out["ah"]) > 20_000:  # one text's regions at most beyond this
                     yield pa.RecordBatch.from_pydict(out, schema=schema)
                     out = {c: [] for c in names}
             yield pa.RecordBatch.from_pydict(out, schema=schema)
 
     kind = docs.schema["d"].dataType.simpleString()
-    rows = joined.mapInArrow(run, f"ah long, d {kind}, tag long, start long, n long, region string")
-    return rows.withColumn("k1", F.xxhash64("ah", "region")).withColumn("k2", F.xxhash64(F.lit(3), "region"))
+    return joined.mapInArrow(run, f"d {kind}, tag long, ah long, kinds long, start long, region string")
 
 
 def _hot_windows(regions: DataFrame, window: int) -> DataFrame:
     """Intervals for anchors with very many different regions: digests of windows, smallest start per digest."""
     words = F.split("region", " ")
-    spread = regions.select("d", "tag", "start", words.alias("w"), F.explode(F.sequence(F.lit(0), F.col("n") - window)).alias("o")).select(
+    spread = regions.select("d", "tag", "start", words.alias("w"), F.explode(F.sequence(F.lit(0), F.size(words) - window)).alias("o")).select(
         "d", "tag", (F.col("start") + F.col("o")).alias("at"), F.concat_ws(" ", F.slice("w", F.col("o").cast("int") + 1, window)).alias("s")
     )
     spread = spread.select("d", "tag", "at", F.xxhash64("s").alias("w1"), F.xxhash64(F.lit(5), "s").alias("w2")).distinct()
@@ -262,20 +270,22 @@ def _hot_windows(regions: DataFrame, window: int) -> DataFrame:
 def repeated_intervals(docs: DataFrame, window: int = WINDOW, k: int = ANCHOR, hot: int = HOT_REGIONS) -> DataFrame:
     """(d, tag, f, t): word intervals [f, t) covered by windows that start earlier; docs: (d, tag, text), no exact copies."""
     found = materialise(anchors(docs, window, k))
-    spread = found.select("d", "tag", F.explode("found").alias("a")).select("d", "tag", "a.ah", "a.pos")
+    spread = found.select("d", "tag", F.explode("found").alias("a")).select("d", "tag", "a.ah", "a.rh", "a.start", "a.n")
     shared = spread.groupBy("ah").agg(F.count(F.lit(1)).alias("c")).where("c > 1").select("ah")
-    places = materialise(
-        spread.join(shared, "ah").groupBy("d", "tag").agg(F.sort_array(F.collect_list(F.struct("pos", "ah"))).alias("found"))
-        .withColumn("found", F.col("found").cast("array<struct<pos:int,ah:long>>"))
-    )
-    keep = bit_filter(places.select("d"))
-    regions = materialise(region_rows(docs.where(keep(F.col("d"))), places, window, k))
-    firsts = regions.groupBy("k1", "k2").agg(F.min(F.struct("d", "start", "tag")).alias("m"), F.min("ah").alias("ah"))
+    places = materialise(spread.join(shared, "ah", "left_semi"))
+    release(found)
+    firsts = materialise(places.groupBy("ah", "rh").agg(F.min(F.struct("d", "start", "tag", "n")).alias("m")))
+    kept = F.struct(F.col("m.d"), F.col("m.start"), F.col("m.tag"))
+    judged = places.join(firsts, ["ah", "rh"]).where(F.struct("d", "start", "tag") > kept)
+    later = materialise(judged.select("d", "tag", F.col("start").cast("long").alias("f"), (F.col("start") + F.col("n")).cast("long").alias("t")))
+    release(places)
     many = firsts.groupBy("ah").agg(F.count(F.lit(1)).alias("kinds")).where("kinds > 1")
-    judged = regions.join(firsts.drop("ah"), ["k1", "k2"])
-    here = F.struct("d", "start", "tag")
-    later = judged.where((here > F.col("m")) & (F.col("n") >= window)).select("d", "tag", F.col("start").alias("f"), (F.col("start") + F.col("n")).alias("t"))
-    single = materialise(judged.where((here == F.col("m")) & (F.col("n") >= window)).dropDuplicates(["k1", "k2"]).select("ah", "d", "tag", "start", "n", "region").join(many, "ah"))
+    open_ = firsts.join(many, "ah").select("m.d", "m.tag", F.struct("ah", "kinds", "m.start", "m.n").alias("a"))
+    wanted = materialise(open_.groupBy("d", "tag").agg(F.collect_list("a").alias("found")))  # of one text
+    release(firsts)
+    keep = bit_filter(wanted.select("d"))
+    single = materialise(region_rows(docs.where(keep(F.col("d"))), wanted))
+    release(wanted)
     shards = max(1, single.count() // SHARD_REGIONS)
 
     def search(g: pd.DataFrame) -> pd.DataFrame:
