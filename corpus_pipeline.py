@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from evolrank.llm import bpe, decontaminate, line_dedup, ngram_join, quality
-from evolrank.llm.common import materialise, table
+from evolrank.llm.common import materialise, release, table
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
@@ -60,7 +60,10 @@ ORACLE_SQL = None  # tokens and the fitted rules are beyond SQL; tests compare w
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents")
+    docs, last = table(spark, sf_dir, "documents"), None
     for _, stage in STAGES:
         docs = materialise(stage(spark, docs, sf_dir))
+        if last is not None:
+            release(last)
+        last = docs
     return docs
