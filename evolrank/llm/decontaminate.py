@@ -12,8 +12,9 @@ when its counted seeds are few, and joined by a shuffle otherwise.
 
 Words are runs of letters and digits, lower-cased.  Defined results: null and
 empty texts hold nothing; benchmark items with fewer words than a mask's span
-cannot seed and never match; repeated rows and ties count once per (document
-id, item id); rows with a null id take no part in the answer; other columns
+cannot seed and never match; repeated rows and ties give one row per (document
+id, item id), repeated document rows add to its windows, repeated item rows do
+not, and each different text of an item id is compared; rows with a null id take no part in the answer; other columns
 are ignored.
 """
 
@@ -52,7 +53,7 @@ def seeds(texts: DataFrame, words: str, keep: list[str]) -> DataFrame:
 
 
 def _verified(hits: DataFrame) -> DataFrame:
-    """(d, b, times, n_equal, n_aligned) from hits (d, dw, n, pos, b, bw, m, bat).
+    """(d, b, times, n_equal, n_aligned) from hits (d, dw, n, pos, b, bw, m, bat, hits).
 
     The window on the item is centred on the hit and clipped to what both texts
     have on this diagonal.  Only the two short windows leave the probing stage;
@@ -61,26 +62,31 @@ def _verified(hits: DataFrame) -> DataFrame:
     shift = F.col("pos") - F.col("bat")
     lo = F.greatest(F.lit(0), -shift, F.col("bat") - (WINDOW - len(MASKS[0])) // 2)
     size = F.least(F.col("m"), F.col("n") - shift, lo + WINDOW) - lo
-    windows = hits.where(size >= LEAST_WINDOW).select("d", "b", F.slice("dw", lo + shift + 1, size).alias("x"), F.slice("bw", lo + 1, size).alias("y"))
-    counted = windows.groupBy("d", "b", "x", "y").agg(F.count(F.lit(1)).alias("times"))
+    windows = hits.where(size >= LEAST_WINDOW).select("d", "b", F.slice("dw", lo + shift + 1, size).alias("x"), F.slice("bw", lo + 1, size).alias("y"), "hits")
+    counted = windows.groupBy("d", "b", "x", "y").agg(F.sum("hits").alias("times"))
     same = F.aggregate(F.zip_with("x", "y", lambda p, q: (p == q).cast("int")), F.lit(0), lambda t, e: t + e)
     return counted.select("d", "b", "times", same.alias("n_equal"), F.size("x").alias("n_aligned"))
 
 
 def leak_hits(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text") -> DataFrame:
-    """(d, b, times, n_equal, n_aligned) of every window around a hit."""
+    """(d, b, times, n_equal, n_aligned) of every window around a hit.
+
+    Both paths count one hit for each (document row, position, mask, item id,
+    different words of the item, place in them).
+    """
     text = text_of(docs, text_col)
     d = docs.where(docs[id_col].isNotNull()).select(docs[id_col].alias("d"), F.xxhash64(text).alias("tk"), word_array(text).alias("dw"))
-    b = benchmark.where(benchmark[item_col].isNotNull()).select(benchmark[item_col].alias("b"), word_array(text_of(benchmark, item_text)).alias("bw"))
-    right = seeds(b, "bw", ["b"]).select("b", "bw", F.col("n").alias("m"), F.col("pos").alias("bat"), "seed").dropDuplicates(["b", "bat", "seed"])
+    b = benchmark.where(benchmark[item_col].isNotNull()).select(benchmark[item_col].alias("b"), word_array(text_of(benchmark, item_text)).alias("bw")).distinct()
+    right = seeds(b, "bw", ["b"]).select("b", "bw", F.col("n").alias("m"), F.col("pos").alias("bat"), "seed")
     if right.limit(BROADCAST_SEEDS + 1).count() <= BROADCAST_SEEDS:
-        return _verified(seeds(d, "dw", ["d"]).join(F.broadcast(right), "seed"))
+        return _verified(seeds(d, "dw", ["d"]).join(F.broadcast(right), "seed").withColumn("hits", F.lit(1)))
     # Many benchmark seeds: places only are shuffled, words are fetched for the hits.
+    b = b.withColumn("bk", F.xxhash64("bw"))
+    right = seeds(b, "bw", ["b", "bk"]).select("b", "bk", F.col("pos").alias("bat"), "seed")
     places = seeds(d, "dw", ["d", "tk"]).select("d", "tk", "pos", "seed")
-    hits = places.join(right.select("b", "bat", "seed"), "seed").select("d", "tk", "pos", "b", "bat").distinct()
+    hits = places.join(right, "seed").groupBy("d", "tk", "pos", "b", "bk", "bat").agg(F.count(F.lit(1)).alias("hits"))
     words = d.dropDuplicates(["d", "tk"]).withColumn("n", F.size("dw"))
-    items = b.dropDuplicates(["b"]).withColumn("m", F.size("bw"))
-    return _verified(hits.join(words, ["d", "tk"]).join(items, "b"))
+    return _verified(hits.join(words, ["d", "tk"]).join(b.withColumn("m", F.size("bw")), ["b", "bk"]))
 
 
 def leaks(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text") -> DataFrame:

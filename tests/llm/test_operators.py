@@ -153,6 +153,37 @@ def test_decontamination(spark):
     assert {r.doc_id for r in decontaminate.decontaminate(d, b).collect()} == {1, 4, 5, None}
 
 
+def full_rows(spark, d, b):
+    """The rows of ``leaks`` by the broadcast path and by the shuffle path."""
+    made, before = [], decontaminate.BROADCAST_SEEDS
+    try:
+        for decontaminate.BROADCAST_SEEDS in (before, 0):
+            made.append(sorted(tuple(r) for r in decontaminate.leaks(d, b).collect()))
+    finally:
+        decontaminate.BROADCAST_SEEDS = before
+    return made
+
+
+def test_decontamination_paths_agree_with_sql(spark):
+    duckdb = pytest.importorskip("duckdb")
+    rnd = random.Random(4)
+    text = lambda k: " ".join("v%d" % rnd.randrange(10**6) for _ in range(k))
+    one, two, head = text(30), text(30), text(12)
+    # Item 1 has two texts that share their first words, and one of them twice; document 2 is there twice.
+    items = [(1, f"{head} {one}"), (1, f"{head} {two}"), (1, f"{head} {one}"), (2, text(20))]
+    rows = [(1, f"{text(9)} {head} {one}"), (2, f"{head} {two} {text(9)}"), (2, f"{head} {two} {text(9)}"), (3, f"{items[3][1]}\n{text(5)} {one}"), (4, text(60))]
+    d = spark.createDataFrame([(i, t, "x", 1) for i, t in rows], SCHEMA)
+    small, large = full_rows(spark, d, spark.createDataFrame(items, "item_id long, text string"))
+    con = duckdb.connect()
+    con.execute("CREATE TABLE documents(doc_id BIGINT, text VARCHAR)")
+    con.execute("CREATE TABLE benchmark(item_id BIGINT, text VARCHAR)")
+    con.executemany("INSERT INTO documents VALUES (?, ?)", rows)
+    con.executemany("INSERT INTO benchmark VALUES (?, ?)", items)
+    want = sorted(con.execute(decontaminate.OP3_SQL).fetchall())
+    assert {r[:2] for r in want} == {(1, 1), (2, 1), (3, 1), (3, 2)}
+    assert small == want and large == want
+
+
 def test_licenses(spark):
     mit = " ".join(licenses.SENTENCES[s] for s in licenses.RULES["MIT text"])
     wrong = " ".join(licenses.SENTENCES[s] for s in reversed(licenses.RULES["MIT text"]))
