@@ -4,7 +4,11 @@ A seed mask looks at some of the words in a short span and ignores the others,
 so substituted words at ignored places do not hide a match.  Training and
 benchmark words are hashed under the same fixed masks and joined on the hash.
 Around each hit the two texts are laid side by side (same diagonal) and the
-words of an aligned window are compared; enough equal words make it a leak.
+words of an aligned window are compared; enough equal words make it a leak, in
+the whole window or in any LEAST_WINDOW neighbouring words of it.  An item with
+fewer words than that must lie side by side with the document as a whole.
+OP3_SQL states the rule of the whole window only: it lacks the pairs that a
+stretch or a short item alone shows.
 
 The document side is one streamed pass: positions are exploded beside the word
 array, hashed, and probed; only hits go on.  The benchmark side is broadcast
@@ -53,7 +57,7 @@ def seeds(texts: DataFrame, words: str, keep: list[str]) -> DataFrame:
 
 
 def _verified(hits: DataFrame) -> DataFrame:
-    """(d, b, times, n_equal, n_aligned) from hits (d, dw, n, pos, b, bw, m, bat, hits).
+    """(d, b, times, n_equal, n_aligned, x, y) from hits (d, dw, n, pos, b, bw, m, bat, hits).
 
     The window on the item is centred on the hit and clipped to what both texts
     have on this diagonal.  Only the two short windows leave the probing stage;
@@ -62,14 +66,21 @@ def _verified(hits: DataFrame) -> DataFrame:
     shift = F.col("pos") - F.col("bat")
     lo = F.greatest(F.lit(0), -shift, F.col("bat") - (WINDOW - len(MASKS[0])) // 2)
     size = F.least(F.col("m"), F.col("n") - shift, lo + WINDOW) - lo
-    windows = hits.where(size >= LEAST_WINDOW).select("d", "b", F.slice("dw", lo + shift + 1, size).alias("x"), F.slice("bw", lo + 1, size).alias("y"), "hits")
+    windows = hits.where(size >= F.least(F.lit(LEAST_WINDOW), F.col("m"))).select("d", "b", F.slice("dw", lo + shift + 1, size).alias("x"), F.slice("bw", lo + 1, size).alias("y"), "hits")
     counted = windows.groupBy("d", "b", "x", "y").agg(F.sum("hits").alias("times"))
     same = F.aggregate(F.zip_with("x", "y", lambda p, q: (p == q).cast("int")), F.lit(0), lambda t, e: t + e)
-    return counted.select("d", "b", "times", same.alias("n_equal"), F.size("x").alias("n_aligned"))
+    return counted.select("d", "b", "times", same.alias("n_equal"), F.size("x").alias("n_aligned"), "x", "y")
+
+
+def _best_stretch(x: str, y: str) -> Column:
+    """Most equal words in any LEAST_WINDOW neighbouring places of two aligned windows (in all, if they are shorter)."""
+    equal = F.zip_with(x, y, lambda p, q: (p == q).cast("int"))
+    starts = F.sequence(F.lit(1), F.greatest(F.lit(1), F.size(x) - LEAST_WINDOW + 1))
+    return F.array_max(F.transform(starts, lambda at: F.aggregate(F.slice(equal, at, LEAST_WINDOW), F.lit(0), lambda t, e: t + e)))
 
 
 def leak_hits(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text") -> DataFrame:
-    """(d, b, times, n_equal, n_aligned) of every window around a hit.
+    """(d, b, times, n_equal, n_aligned, x, y) of every window around a hit.
 
     Both paths count one hit for each (document row, position, mask, item id,
     different words of the item, place in them).
@@ -90,15 +101,24 @@ def leak_hits(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", tex
 
 
 def leaks(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text") -> DataFrame:
-    """(doc_id, item_id, n_windows, best_equal): contaminated documents and what they hold."""
+    """(doc_id, item_id, n_windows, best_equal): contaminated documents and what they hold.
+
+    Both figures are those of the agreeing windows; a pair without any has those
+    of the agreeing stretches instead.
+    """
     # Judged inside the aggregate: a filter here would be pushed into the probe and break its generated code.
-    good = F.col("n_equal") >= LEAST_SHARE * F.col("n_aligned")
+    whole = (F.col("n_aligned") >= LEAST_WINDOW) & (F.col("n_equal") >= LEAST_SHARE * F.col("n_aligned"))
+    stretch = F.when(~whole, _best_stretch("x", "y"))
+    part = stretch >= LEAST_SHARE * F.least(F.lit(LEAST_WINDOW), F.col("n_aligned"))
     return (
         leak_hits(docs, benchmark, id_col, text_col, item_col, item_text)
         .groupBy("d", "b")
-        .agg(F.sum(F.when(good, F.col("times"))).alias("n_windows"), F.max(F.when(good, F.col("n_equal"))).cast("int").alias("best_equal"))
+        .agg(
+            F.sum(F.when(whole, F.col("times"))).alias("windows"), F.max(F.when(whole, F.col("n_equal"))).alias("window_equal"),
+            F.sum(F.when(part, F.col("times"))).alias("stretches"), F.max(F.when(part, stretch)).alias("stretch_equal"),
+        )
+        .select(F.col("d").alias("doc_id"), F.col("b").alias("item_id"), F.coalesce("windows", "stretches").alias("n_windows"), F.coalesce("window_equal", "stretch_equal").cast("int").alias("best_equal"))
         .where("n_windows > 0")
-        .select(F.col("d").alias("doc_id"), F.col("b").alias("item_id"), "n_windows", "best_equal")
     )
 
 

@@ -184,6 +184,22 @@ def test_decontamination_paths_agree_with_sql(spark):
     assert small == want and large == want
 
 
+def test_decontamination_of_short_items_and_passages(spark):
+    rnd = random.Random(6)
+    text = lambda k: ["v%d" % rnd.randrange(10**6) for _ in range(k)]
+    items = {k: text(k) for k in (7, 8, 9, 10, 11, 12, 60)}
+    b = spark.createDataFrame([(k, " ".join(w)) for k, w in items.items()], "item_id long, text string")
+    wide = lambda w: " ".join(text(30) + w + text(30))
+    rows = [(k, wide(w)) for k, w in items.items()]
+    # Twelve words after each other from the head, the middle and the tail of the long item; eight are too few.
+    rows += [(100 + at, wide(items[60][at : at + 12])) for at in (0, 20, 48)] + [(200, wide(items[60][20:28])), (201, wide(items[11][:7])), (202, wide(text(60)))]
+    d = spark.createDataFrame([(i, t, "x", 1) for i, t in rows], SCHEMA)
+    small, large = full_rows(spark, d, b)
+    assert [r[:2] for r in small] == [(k, k) for k in items] + [(100, 60), (120, 60), (148, 60)]
+    assert [r[3] for r in small] == [7, 8, 9, 10, 11, 12, 24, 12, 12, 12]
+    assert small == large
+
+
 def test_licenses(spark):
     mit = " ".join(licenses.SENTENCES[s] for s in licenses.RULES["MIT text"])
     wrong = " ".join(licenses.SENTENCES[s] for s in reversed(licenses.RULES["MIT text"]))
