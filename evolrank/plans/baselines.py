@@ -173,16 +173,21 @@ def message_rank(g: Graph, prev: DataFrame, cfg: RankConfig = RankConfig(), bar:
             residual = settle(stay.unionByName(arrived.select("v", F.col("m").alias("r"))).groupBy("v").agg(F.sum("r").alias("r")))
             ranks = settle(moved)
             worst = residual.agg(F.max(F.abs(F.col("r")))).first()[0] or 0.0
+        ranks = settle(ranks.join(residual, "v", "left").select("v", (F.col("rank") + F.coalesce("r", F.lit(0.0))).alias("rank")))  # what lies under the bar
         return RankResult(ranks.withColumn("ever", F.lit(True)), i, worst, visits)
 
 
-def residual_rank(g: Graph, cfg: RankConfig = RankConfig(), k: int = 200, rounds: int = 60) -> RankResult:
-    """The k largest residuals settle in each round (a batched form of a sequential method); an estimate."""
+def residual_rank(g: Graph, cfg: RankConfig = RankConfig(), k: int | None = None) -> RankResult:
+    """The k largest residuals (a quarter of the vertices, at least 100, if None) settle in each round until all are small.
+
+    A batched form of a sequential method; k sets the number of rounds, not where they end.
+    """
+    k = k or max(100, g.n // 4)
     with fixed_partitioning(g.edges.sparkSession):
         g = deal(g)
         ranks = settle(g.degrees.select("v", F.lit(0.0).alias("rank"), F.lit((1 - cfg.alpha) / g.n).alias("r")))
         i, worst = 0, 1.0
-        while i < rounds and worst > cfg.tol_frontier / g.n:
+        while worst > cfg.tol_frontier / g.n:
             i += 1
             top = settle(ranks.orderBy(F.desc(F.abs("r")), "v").limit(k).select("v", "r"))
             sent = top.join(g.degrees, "v").select(F.col("v").alias("src"), (cfg.alpha * F.col("r") / F.col("out_deg")).alias("m"))
@@ -195,20 +200,22 @@ def residual_rank(g: Graph, cfg: RankConfig = RankConfig(), k: int = 200, rounds
         return RankResult(ranks.select("v", "rank").withColumn("ever", F.lit(True)), i, worst, 0)
 
 
-def walk_rank(g: Graph, walks: int = 8, steps: int = 20, cfg: RankConfig = RankConfig(), seed: int = 1) -> RankResult:
-    """Monte Carlo estimate: hash-seeded walks from every vertex, shares of visits as ranks."""
-    ordered = g.edges.select("src", "dst", F.row_number().over(_by_src()).alias("k"))
+def walk_rank(g: Graph, walks: int = 8, cfg: RankConfig = RankConfig(), seed: int = 1) -> RankResult:
+    """Monte Carlo estimate: hash-seeded walks from every vertex until the last one is absorbed, shares of visits as ranks."""
+    ordered = settle(g.edges.select("src", "dst", F.row_number().over(_by_src()).alias("k")))
     at = g.degrees.select(F.col("v").alias("start"), F.explode(F.sequence(F.lit(1), F.lit(walks))).alias("w")).withColumn("v", F.col("start"))
-    seen = settle(at.select("v"))
-    for t in range(steps):
+    seen, t, alive = settle(at.groupBy("v").agg(F.count("*").alias("c"))), 0, True
+    while alive:
         coin = F.pmod(F.xxhash64(F.lit(seed), F.lit(t), "start", "w"), F.lit(1_000_000)) / 1e6
         at = at.where(coin < cfg.alpha).join(g.degrees.select("v", "out_deg"), "v")
         at = at.withColumn("k", F.pmod(F.xxhash64(F.lit(seed + 1), F.lit(t), "start", "w"), F.col("out_deg")) + 1)
         at = settle(at.withColumnRenamed("v", "src").join(ordered, ["src", "k"]).select("start", "w", F.col("dst").alias("v")))
-        seen = settle(seen.unionByName(at.select("v")))
-    total = seen.count()
-    ranks = g.degrees.select("v").join(seen.groupBy("v").agg(F.count("*").alias("c")), "v", "left").select("v", (F.coalesce("c", F.lit(0)) / total).alias("rank"))
-    return RankResult(ranks.withColumn("ever", F.lit(True)), steps, 0.0, 0)
+        t, alive = t + 1, not at.isEmpty()
+        if alive:
+            seen = settle(seen.unionByName(at.groupBy("v").agg(F.count("*").alias("c"))).groupBy("v").agg(F.sum("c").alias("c")))
+    total = seen.agg(F.sum("c")).first()[0]
+    ranks = g.degrees.select("v").join(seen, "v", "left").select("v", (F.coalesce("c", F.lit(0)) / total).alias("rank"))
+    return RankResult(ranks.withColumn("ever", F.lit(True)), t, 0.0, 0)
 
 
 def _by_src():

@@ -144,6 +144,7 @@ for _g in ("user_relay", "state_flow", "cust_supp", "site_links", "part_supp_sym
     query(f"w_static_{_g}", _with(_g, S.power_ctes("it", S.UNIFORM, CFG)) + S.last("it"))(lambda spark, sf, g=_g: engine.static_rank(loaded(spark, sf, g)).report())
 _FEW = replace(CFG, max_iter=5)
 query("w_static_order_road", _with("order_road", S.power_ctes("it", S.UNIFORM, _FEW)) + S.last("it"))(lambda spark, sf: engine.static_rank(loaded(spark, sf, "order_road"), _FEW).report())
+query("w_static_order_road_full", _with("order_road", S.power_ctes("it", S.UNIFORM, CFG)) + S.last("it"))(lambda spark, sf: engine.static_rank(loaded(spark, sf, "order_road")).report())
 for _n, _f in (("push", baselines.push_rank), ("two_phase", baselines.two_phase_rank), ("spmv", baselines.matrix_rank), ("three_bins", baselines.binned_rank), ("chunked", baselines.chunked_rank), ("switching", baselines.switching_rank)):
     query(f"rank_{_n}", _with("user_relay", S.power_ctes("it", S.UNIFORM, CFG)) + S.last("it"))(lambda spark, sf, f=_f: f(loaded(spark, sf, "user_relay")).report())
 
@@ -232,14 +233,13 @@ def _teleport(spark, sf):
 
 
 query("rank_stripped")(lambda spark, sf: (lambda e: e.groupBy("src").agg(F.count("*").alias("left")))(baselines.strip_dead_ends(G.static_edges(catalog.part_flow(spark, sf)))))
-_SHORT = replace(CFG, max_iter=12)
-query("rank_block_async")(lambda spark, sf: baselines.block_async_rank(loaded(spark, sf, "user_relay"), _SHORT).report())
-query("rank_adaptive")(lambda spark, sf: baselines.adaptive_rank(loaded(spark, sf, "user_relay"), _SHORT).report())
-query("rank_delta_messages")(lambda spark, sf: (lambda o, p, d, n: baselines.message_rank(n, p, _SHORT).report())(*changed(spark, sf)))
-query("rank_residual_topk")(lambda spark, sf: baselines.residual_rank(loaded(spark, sf, "user_relay"), k=100, rounds=10).report())
-query("rank_walks")(lambda spark, sf: baselines.walk_rank(loaded(spark, sf, "user_relay"), walks=20, steps=6).report())
-query("rank_contracted")(lambda spark, sf: (lambda o, p, d, n: baselines.contracted_rank(n, d, p, cfg=_SHORT).report())(*changed(spark, sf)))
-query("rank_by_components")(lambda spark, sf: (lambda o, p, d, n: baselines.component_rank(n, d, p, _SHORT).report())(*changed(spark, sf)))
+query("rank_block_async")(lambda spark, sf: baselines.block_async_rank(loaded(spark, sf, "user_relay"), CFG).report())
+query("rank_adaptive")(lambda spark, sf: baselines.adaptive_rank(loaded(spark, sf, "user_relay"), CFG).report())
+query("rank_delta_messages")(lambda spark, sf: (lambda o, p, d, n: baselines.message_rank(n, p, CFG).report())(*changed(spark, sf)))
+query("rank_residual_topk")(lambda spark, sf: baselines.residual_rank(loaded(spark, sf, "user_relay")).report())
+query("rank_walks")(lambda spark, sf: baselines.walk_rank(loaded(spark, sf, "user_relay"), walks=20).report())
+query("rank_contracted")(lambda spark, sf: (lambda o, p, d, n: baselines.contracted_rank(n, d, p, cfg=CFG).report())(*changed(spark, sf)))
+query("rank_by_components")(lambda spark, sf: (lambda o, p, d, n: baselines.component_rank(n, d, p, CFG).report())(*changed(spark, sf)))
 
 
 @query("rank_local_estimate")

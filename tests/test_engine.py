@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from evolrank.config import RankConfig
 from evolrank.operators import frontier
 from evolrank.operators import graph as G
-from evolrank.plans import baselines, engine
+from evolrank.plans import baselines, engine, queries
 from evolrank.storage import settle
 
 EDGES = [(0, 1), (1, 2), (2, 0), (2, 3), (3, 4), (4, 5), (5, 3), (6, 7), (7, 6), (0, 6)]
@@ -90,3 +90,22 @@ def test_graph_operators(spark, toy):
     split = G.degree_split(toy.degrees, "in_deg", 3, 2).orderBy("pos").collect()
     assert [r.pos for r in split] == list(range(8))
     assert [r.klass for r in split] == sorted((r.klass for r in split), reverse=True)
+
+
+def test_queries_run_until_settled(spark, toy, monkeypatch):
+    monkeypatch.setattr(queries, "loaded", lambda *a: toy)
+    monkeypatch.setattr(queries, "changed", lambda *a: (toy, None, None, toy))
+    given = []
+
+    def record(*args, **named):
+        given.extend([*args, *named.items()])
+        return engine.RankResult(engine.uniform(toy).withColumn("ever", F.lit(True)), 0, 0.0, 0)
+
+    walk = baselines.walk_rank
+    for f in ("block_async_rank", "adaptive_rank", "message_rank", "contracted_rank", "component_rank", "residual_rank", "walk_rank"):
+        monkeypatch.setattr(baselines, f, record)
+    for name in ("block_async", "adaptive", "delta_messages", "contracted", "by_components", "residual_topk", "walks"):
+        queries.QUERIES[f"rank_{name}"](spark, "")
+    assert not {x[0] for x in given if isinstance(x, tuple)} & {"rounds", "steps"}
+    assert all(x == RankConfig() for x in [*given, *(x[1] for x in given if isinstance(x, tuple))] if isinstance(x, RankConfig))
+    assert walk(toy, walks=1, cfg=RankConfig(alpha=0.2)).ranks.agg(F.round(F.sum("rank"), 9)).first()[0] == 1
