@@ -1,10 +1,11 @@
 """License scan: known sentences become identifiers, identifier sequences are matched to rules.
 
-Texts are cut into sentences at line ends and after full stops; a sentence is
-normalised to its lower-cased words.  Sentences of known licences are looked up
-by hash in a table whose size is fixed by this module.  Identifiers of a
+Texts are cut into pieces at line ends (lines without words fall away) and after full stops; a piece is
+normalised to its lower-cased words, so comment marks go.  A known sentence is
+found where neighbouring pieces, at most ``MOST_PIECES``, put together are that
+sentence: wrapped lines and sentences on one line both count.  Identifiers of a
 document, in order, are then matched against rules: a rule holds if its
-identifiers occur in that order with at most ``MOST_GAP`` foreign sentences between
+identifiers occur in that order with at most ``MOST_GAP`` foreign pieces between
 neighbours.  Only documents with a known sentence reach the shuffle.
 
 Defined results: null and empty texts and documents without a licence give no
@@ -20,6 +21,7 @@ from pyspark.sql import functions as F
 from .common import table, text_of
 
 MOST_GAP = 3
+MOST_PIECES = 40
 
 # Licence sentences in public use, and the ordered rules over them.
 SENTENCES = {
@@ -41,8 +43,14 @@ SENTENCES = {
     "cc_by": "Licensed under CC BY 4.0.",
     "cc_by_sa": "Licensed under CC BY-SA 4.0.",
     "mpl_notice": "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0.",
+    "bsd_names": "Neither the name of the copyright holder nor the names of its contributors may be used to endorse or promote products derived from this software without specific prior written permission.",
+    "isc_grant": "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies.",
+    "gpl2_free": "This program is free software; you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation; either version 2 of the License, or (at your option) any later version.",
+    "lgpl_free": "This library is free software; you can redistribute it and/or modify it under the terms of the GNU Lesser General Public License as published by the Free Software Foundation; either version 2.1 of the License, or (at your option) any later version.",
     "unlicense": "This is free and unencumbered software released into the public domain.",
 }
+# Other published forms of the same sentences.
+FORMS = [("apache_notice", "Licensed under the Apache License, Version 2.0 (the \"License\");")]
 RULES = {
     "Apache-2.0 notice": ("apache_notice",),
     "Apache-2.0 header": ("apache_notice", "apache_grant", "apache_basis"),
@@ -51,13 +59,18 @@ RULES = {
     "GPL-3.0 notice": ("gpl_notice",),
     "GPL-3.0 header": ("gpl_free", "gpl_hope"),
     "BSD-2-Clause text": ("bsd_grant", "bsd_source", "bsd_binary"),
+    "BSD-3-Clause text": ("bsd_grant", "bsd_source", "bsd_binary", "bsd_names"),
+    "ISC text": ("isc_grant",),
+    "GPL-2.0 header": ("gpl2_free", "gpl_hope"),
+    "LGPL-2.1 header": ("lgpl_free",),
     "CC-BY-NC-4.0 notice": ("cc_by_nc",),
     "CC-BY-4.0 notice": ("cc_by",),
     "CC-BY-SA-4.0 notice": ("cc_by_sa",),
     "MPL-2.0 notice": ("mpl_notice",),
     "Unlicense": ("unlicense",),
 }
-CUT = r"\n+|(?<=[.!?:;])[ \t]+(?=[\p{Lu}\"'(])"
+WIDER = {"BSD-2-Clause text": "BSD-3-Clause text"}  # not reported where the wider rule holds from the same place
+CUT = r"\n[^\p{L}\p{N}]*\n|\n|(?<=[.!?:;])[ \t]+(?=[\p{Lu}\"'(])|(?<=\"License\"\);)[ \t]+|(?<=LICENSE-2\.0)[ \t]+"
 
 
 def normalised(sentence: Column) -> Column:
@@ -65,19 +78,22 @@ def normalised(sentence: Column) -> Column:
 
 
 def known_sentences(spark: SparkSession) -> DataFrame:
-    """(h, sentence): one row for each piece of a known sentence, as the cutter would cut it."""
-    rows = spark.createDataFrame(list(SENTENCES.items()), "name string, body string")
-    pieces = rows.select("name", F.posexplode(F.split("body", CUT)).alias("k", "piece")).select(F.when(F.col("k") == 0, F.col("name")).otherwise(F.concat_ws("#", "name", "k")).alias("sentence"), normalised(F.col("piece")).alias("s"))
-    return pieces.select(F.xxhash64("s").alias("h"), "s", "sentence")
+    """(first, known, sentence): the first word, all words and the name of each known sentence."""
+    rows = spark.createDataFrame([*SENTENCES.items(), *FORMS], "sentence string, body string").withColumn("known", normalised(F.col("body")))
+    return rows.select(F.substring_index("known", " ", 1).alias("first"), "known", "sentence")
 
 
 def sentence_hits(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(id, at, sentence) for every sentence of a document that a licence is known to have."""
-    cut = docs.where(docs[id_col].isNotNull()).select(docs[id_col].alias("d"), F.posexplode(F.split(text_of(docs, text_col), CUT)).alias("at", "raw"))
-    shortest, longest = min(map(len, SENTENCES.values())) // 2, 2 * max(map(len, SENTENCES.values()))
-    sized = cut.where(F.length("raw").between(shortest, longest)).select("d", "at", normalised(F.col("raw")).alias("s"))
+    """(d, at, to, sentence): first and last piece of every sentence of a document that a licence is known to have."""
+    cut = docs.where(docs[id_col].isNotNull()).select(docs[id_col].alias("d"), F.split(text_of(docs, text_col), CUT).alias("pieces"))
+    spread = cut.select("d", "pieces", F.posexplode("pieces").alias("at", "raw")).withColumn("s", normalised(F.substring("raw", 1, 60)))
     known = F.broadcast(known_sentences(docs.sparkSession))  # as many rows as this module states
-    return sized.withColumn("h", F.xxhash64("s")).join(known, ["h", "s"]).select("d", "at", "sentence")
+    begun = spread.withColumn("first", F.substring_index("s", " ", 1)).join(known, "first")
+    begun = begun.where(F.col("known").startswith(F.substring("s", 1, 40)) & (F.col("s") != ""))
+    near = begun.select("d", "at", "known", "sentence", F.slice("pieces", F.col("at") + 1, MOST_PIECES).alias("near"))
+    joined = near.select("d", "at", "known", "sentence", "near", F.explode(F.sequence(F.lit(1), F.size("near"))).alias("k"))
+    whole = joined.where(normalised(F.array_join(F.slice("near", 1, F.col("k")), " ")) == F.col("known"))
+    return whole.groupBy("d", "at", "sentence").agg((F.col("at") + F.min("k") - 1).alias("to")).select("d", "at", "to", "sentence")
 
 
 def match_rules(hits: DataFrame) -> DataFrame:
@@ -89,17 +105,19 @@ def match_rules(hits: DataFrame) -> DataFrame:
     """
     spark = hits.sparkSession
     steps = spark.createDataFrame([(r, i, s, len(seq)) for r, seq in RULES.items() for i, s in enumerate(seq)], "rule string, step int, sentence string, n_steps int")
-    tagged = hits.distinct().join(F.broadcast(steps), "sentence").select("d", "at", "rule", "step", "n_steps")
-    chain = tagged.where("step = 0").select("d", "rule", "n_steps", F.col("at").alias("first_at"), F.col("at").alias("last_at"))
+    tagged = hits.distinct().join(F.broadcast(steps), "sentence").select("d", "at", "to", "rule", "step", "n_steps")
+    chain = tagged.where("step = 0").select("d", "rule", "n_steps", F.col("at").alias("first_at"), F.col("to").alias("last_at"))
     ends = chain.where("n_steps = 1").select("d", "rule", "first_at")
     for step in range(1, max(map(len, RULES.values()))):
-        nxt = tagged.where(F.col("step") == step).select("d", "rule", "at")
+        nxt = tagged.where(F.col("step") == step).select("d", "rule", "at", "to")
         chain = (
             chain.where(F.col("n_steps") > step).join(nxt, ["d", "rule"])
             .where((F.col("at") > F.col("last_at")) & (F.col("at") <= F.col("last_at") + MOST_GAP + 1))
-            .groupBy("d", "rule", "n_steps", "first_at").agg(F.min("at").alias("last_at"))
+            .groupBy("d", "rule", "n_steps", "first_at").agg(F.min("to").alias("last_at"))
         )
         ends = ends.unionByName(chain.where(F.col("n_steps") == step + 1).select("d", "rule", "first_at"))
+    wider = spark.createDataFrame(list(WIDER.items()), "narrow string, rule string")
+    ends = ends.join(ends.join(F.broadcast(wider), "rule").select("d", F.col("narrow").alias("rule"), "first_at").distinct(), ["d", "rule", "first_at"], "left_anti")
     return ends.groupBy("d", "rule").agg(F.count(F.lit(1)).alias("n_matches"), F.min("first_at").cast("long").alias("first_sentence")).select(F.col("d").alias("doc_id"), F.col("rule").alias("license"), "n_matches", "first_sentence")
 
 

@@ -208,6 +208,21 @@ def test_licenses(spark):
     assert {(r.doc_id, r.license) for r in licenses.scan_licenses(d).collect()} == {(1, "MIT notice"), (2, "MIT text")}
 
 
+def test_wrapped_licenses(spark):
+    import textwrap
+
+    copy = "You may obtain a copy of the License at\n\n    http://www.apache.org/licenses/LICENSE-2.0\n\n"
+    grant = 'Licensed under the Apache License, Version 2.0 (the "License");\nyou may not use this file except in compliance with the License.\n'
+    basis = licenses.SENTENCES["apache_basis"]
+    apache = grant + copy + textwrap.fill(basis, 70)
+    body = lambda rule, width: "\n\n".join(textwrap.fill(licenses.SENTENCES[x], width) for x in licenses.RULES[rule])
+    marked = "\n".join(" * " + x for x in body("GPL-3.0 header", 72).split("\n"))
+    rows = [(1, apache), (2, "# " + apache.replace("\n", "\n# ")), (3, " ".join(apache.split())), (4, body("MIT text", 76)), (5, marked), (6, body("BSD-3-Clause text", 78)), (7, body("BSD-2-Clause text", 70)), (8, "no full stop here\nReleased under the MIT License.\nnor here")]
+    d = spark.createDataFrame([(i, t, "x", 1) for i, t in rows], SCHEMA)
+    want = {(i, "Apache-2.0 " + k) for i in (1, 2, 3) for k in ("notice", "header")} | {(4, "MIT text"), (5, "GPL-3.0 header"), (6, "BSD-3-Clause text"), (7, "BSD-2-Clause text"), (8, "MIT notice")}
+    assert {(r.doc_id, r.license) for r in licenses.scan_licenses(d).collect()} == want
+
+
 def test_toxic_grammar_reads_clauses():
     g = toxicity.Grammar(["vequ"])
     read = lambda t: dict(zip(toxicity.LABELS, g.read(t)))
