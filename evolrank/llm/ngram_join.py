@@ -46,6 +46,7 @@ from .shingles import shingle_set
 SHINGLE_WORDS = 5
 PERCENT = 80
 MOST_MATCHES = 6  # largest L that a document may pick
+SPARE = 4  # tokens stored beyond the longest prefix, and an eighth of it; a document with more frequent ones is read twice
 FREQUENT, MOST_FREQUENT = 32, 200_000  # tokens put last: at least so frequent, at most so many
 BATCH_REPEATS = 3  # times a batch must hold a token for it to be counted as possibly frequent
 VERIFY_COST = 40.0  # of one verified pair, in postings read
@@ -72,8 +73,22 @@ def owed(n: Column, percent: int) -> Column:
     return F.floor((n * percent + 99) / 100).cast("long")
 
 
-def signatures(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = SHINGLE_WORDS) -> DataFrame:
-    """(id, n, h1, h2, often): set size and fingerprint; one row of a batch also carries its repeated tokens."""
+def _prefix_length(n: int, percent: int) -> int:
+    """Tokens of a set of n in the longest prefix that its document may pick."""
+    return n + (-percent * n // 100) + MOST_MATCHES
+
+
+def _list_array(lists: list[np.ndarray]) -> pa.ListArray:
+    ends = np.concatenate([[0], np.cumsum([len(x) for x in lists])]).astype(np.int32)
+    return pa.ListArray.from_arrays(ends, np.concatenate([np.zeros(0, np.int64), *(x.view(np.int64) for x in lists)]))
+
+
+def signatures(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = PERCENT, k: int = SHINGLE_WORDS) -> DataFrame:
+    """(id, n, h1, h2, often, tokens): set size and fingerprint; one row of a batch also carries its repeated tokens.
+
+    ``tokens`` are the smallest hashes: the longest prefix and some more, in place
+    of those that turn out to be frequent.
+    """
     def start():
         def work(texts):
             sets = [shingle_set(t, k) for t in texts]
@@ -81,11 +96,16 @@ def signatures(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
             tokens, counts = np.unique(np.concatenate([np.zeros(0, np.uint64), *sets]), return_counts=True)
             many = counts >= BATCH_REPEATS
             often = [[{"token": int(t), "c": int(c)} for t, c in zip(tokens[many].view(np.int64), counts[many], strict=True)]]
-            return {"n": [len(s) for s in sets], "h1": [int(p[0]) for p in prints], "h2": [int(p[1]) for p in prints], "often": (often + [None] * len(texts))[: len(texts)]}
+            spare = [_prefix_length(len(s), percent) for s in sets]
+            return {
+                "n": [len(s) for s in sets], "h1": [int(p[0]) for p in prints], "h2": [int(p[1]) for p in prints],
+                "often": (often + [None] * len(texts))[: len(texts)],
+                "tokens": _list_array([s[: m + SPARE + m // 8] for s, m in zip(sets, spare, strict=True)]),
+            }
 
         return work
 
-    return map_texts(docs, start, "n long, h1 long, h2 long, often array<struct<token:long,c:long>>", id_col, text_col)
+    return map_texts(docs, start, "n long, h1 long, h2 long, often array<struct<token:long,c:long>>, tokens array<long>", id_col, text_col)
 
 
 def frequent_tokens(marked: DataFrame) -> np.ndarray:
@@ -97,37 +117,78 @@ def frequent_tokens(marked: DataFrame) -> np.ndarray:
     return np.sort(rows["token"].to_numpy(np.int64).view(np.uint64))
 
 
+def _is_late(tokens: np.ndarray, late: np.ndarray) -> np.ndarray:
+    if not len(late):
+        return np.zeros(len(tokens), dtype=bool)
+    return late[np.minimum(np.searchsorted(late, tokens), len(late) - 1)] == tokens
+
+
+def trimmed(marked: DataFrame, frequent: np.ndarray, percent: int = PERCENT) -> DataFrame:
+    """(d, n, tokens, enough) from (d, n, tokens): the longest prefix without frequent tokens.
+
+    A document whose stored tokens do not suffice is marked; its text must be read again.
+    """
+    held = marked.sparkSession.sparkContext.broadcast(frequent)
+    kind = marked.schema["d"].dataType.simpleString()
+
+    def run(batches):
+        for b in batches:
+            sizes, lists = b.column(1).to_pylist(), b.column(2)
+            flat = lists.flatten().to_numpy(zero_copy_only=False).view(np.uint64)
+            ends = np.concatenate([[0], np.cumsum(lists.value_lengths().to_numpy(zero_copy_only=False))]).astype(int)
+            rare, cut, enough = ~_is_late(flat, held.value), [], []
+            for i, n in enumerate(sizes):
+                here, most = slice(ends[i], ends[i + 1]), _prefix_length(n, percent)
+                few = flat[here][rare[here]]
+                whole = ends[i + 1] - ends[i] == n  # frequent tokens then follow the others
+                cut.append((np.concatenate([few, flat[here][~rare[here]]]) if whole else few)[:most])
+                enough.append(whole or len(few) >= most)
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), _list_array(cut), pa.array(enough, pa.bool_())], names=["d", "n", "tokens", "enough"])
+
+    return marked.select("d", "n", "tokens").mapInArrow(run, f"d {kind}, n long, tokens array<long>, enough boolean")
+
+
 def prefixes(docs: DataFrame, frequent: np.ndarray, percent: int = PERCENT, k: int = SHINGLE_WORDS) -> DataFrame:
-    """(d, n, tokens): the longest prefix that a document may pick, in the global order."""
+    """(d, n, tokens): the longest prefix that a document may pick, in the global order, from its text."""
     held = docs.sparkSession.sparkContext.broadcast(frequent)
 
     def start():
         def work(texts):
-            late, sizes, cut = held.value, [], []
+            sizes, cut = [], []
             for t in texts:
                 s = shingle_set(t, k)
-                m = len(s)
-                if len(late) and m:
-                    is_late = late[np.minimum(np.searchsorted(late, s), len(late) - 1)] == s
-                    s = np.concatenate([s[~is_late], s[is_late]])
-                sizes.append(m)
-                cut.append(s[: m + (-percent * m // 100) + MOST_MATCHES].view(np.int64))
-            ends = np.concatenate([[0], np.cumsum([len(c) for c in cut])]).astype(np.int32)
-            return {"n": sizes, "tokens": pa.ListArray.from_arrays(ends, np.concatenate([np.zeros(0, np.int64), *cut]))}
+                is_late = _is_late(s, held.value)
+                sizes.append(len(s))
+                cut.append(np.concatenate([s[~is_late], s[is_late]])[: _prefix_length(len(s), percent)])
+            return {"n": sizes, "tokens": _list_array(cut)}
 
         return work
 
     return map_texts(docs, start, "n long, tokens array<long>", "d")
 
 
-def prefix_postings(sets: DataFrame, classes: DataFrame, percent: int = PERCENT) -> DataFrame:
-    """(token, d, n, p, ell, lev): prefix tokens at place p of class representatives, with the level at which each enters.
+def without(rows: DataFrame, ids: DataFrame) -> DataFrame:
+    """The rows whose d is not in the written table ``ids`` (d); only those that may be in it are shuffled."""
+    maybe = bit_filter(ids)
+    sure = rows.where(~maybe(F.col("d")))
+    return sure.unionByName(rows.where(maybe(F.col("d"))).join(ids, "d", "left_anti").select(*rows.columns))
 
-    ``sets``: (d, n, tokens), ``classes``: (d) of the representatives.
+
+def prefix_postings(sets: DataFrame, percent: int = PERCENT) -> DataFrame:
+    """(token, d, n, p, ell, lev): prefix tokens at place p, with the level at which each enters.
+
+    ``sets``: (d, n, tokens) of class representatives.
     """
     spread = sets.select("d", "n", F.posexplode("tokens").alias("p", "token"))
-    shared = spread.groupBy("token").agg(F.count(F.lit(1)).alias("df")).where("df > 1")
-    kept = spread.join(shared, "token").join(classes, "d", "left_semi")
+    # Written before the join: its shuffle is freed, and a token that very many hold is then split by the planner.
+    shared = materialise(spread.groupBy("token").agg(F.count(F.lit(1)).alias("df")).where("df > 1"))
+    placed = _placed(spread.join(shared, "token"), percent)
+    out = materialise(placed)
+    release(shared)
+    return out
+
+
+def _placed(kept: DataFrame, percent: int) -> DataFrame:
     least = owed(F.col("n"), percent)
     placed = kept.withColumn("lev", F.greatest(F.lit(1), F.col("p") + 1 - (F.col("n") - least)))
     # Estimated cost of each L: postings read, and pairs that can reach L matches.
@@ -148,18 +209,24 @@ def leader_pairs(postings: DataFrame, turn: int = 0, percent: int = PERCENT) ->
     with the turn and is the same for all lists.
     """
     order = F.struct((F.xxhash64(F.lit(turn), "d") if turn else F.col("p").cast("long")).alias("o"), "d", "n", "c")
-    leaders = postings.groupBy("token").agg(F.min(order).alias("m"), F.count(F.lit(1)).alias("k")).where("k > 1").select("token", "m")
+    leaders = materialise(postings.groupBy("token").agg(F.min(order).alias("m"), F.count(F.lit(1)).alias("k")).where("k > 1").select("token", "m"))
     # A leader is met on a part of the common tokens only, so the bar here is one hit.
     met = postings.join(leaders, "token").where((F.col("c") != F.col("m.c")) & (100 * F.least("n", "m.n") >= percent * F.greatest("n", "m.n")))
     best = met.groupBy(F.col("m.d").alias("a"), F.col("d").alias("b")).agg(F.count(F.lit(1)).alias("hits"))
-    return best.groupBy("b").agg(F.max(F.struct(F.col("hits"), F.bitwise_not("a").alias("na"))).alias("m")).select(F.bitwise_not("m.na").alias("a"), "b")
+    pairs = best.groupBy("b").agg(F.max(F.struct(F.col("hits"), F.bitwise_not("a").alias("na"))).alias("m")).select(F.bitwise_not("m.na").alias("a"), "b")
+    made = materialise(pairs)
+    release(leaders)
+    return made
 
 
 def labelled(postings: DataFrame, components: DataFrame) -> DataFrame:
     """Postings of the lists whose members are in several components, with the component c and the list's range of sizes."""
     named = postings.join(components, postings["d"] == components["v"], "left").select("token", "d", "n", "p", "ell", "lev", F.coalesce("component", "d").alias("c"))
     open_ = named.groupBy("token").agg(F.min("c").alias("lo"), F.max("c").alias("hi"), F.min("n").alias("n_lo"), F.max("n").alias("n_hi")).where("lo < hi").drop("lo", "hi")
-    return materialise(named.join(open_, "token"))
+    open_ = materialise(open_)
+    out = materialise(named.join(open_, "token"))
+    release(open_)
+    return out
 
 
 def pairs_ahead(live: DataFrame) -> tuple[int, int]:
@@ -178,8 +245,10 @@ def leader_links(postings: DataFrame, texts: DataFrame, percent: int = PERCENT,
     """
     live, links, ahead = postings.withColumn("c", F.col("d")), None, math.inf
     for turn in range(MOST_TURNS):
-        found = verified(leader_pairs(live, turn, percent), texts, percent, k)
+        pairs = leader_pairs(live, turn, percent)
+        found = verified(pairs, texts, percent, k)
         earlier, links = links, materialise(found if links is None else links.unionByName(found))
+        release(pairs)
         if turn:
             release(earlier, live)
         live = labelled(postings, connected_components(links))
@@ -232,15 +301,13 @@ def cross_pairs(live: DataFrame, percent: int = PERCENT) -> DataFrame:
     return fits.groupBy("a", "b").agg(F.count(F.lit(1)).alias("hits"), F.min(ell).alias("ell")).where("hits >= ell").select("a", "b")
 
 
-def candidate_texts(docs: DataFrame, ids: DataFrame) -> DataFrame:
-    """(d, text) of the documents that may have a candidate; others stay out of the shuffles."""
-    return materialise(docs.where(bit_filter(ids)(F.col("d"))).select("d", "text"))
-
-
 def verified(pairs: DataFrame, texts: DataFrame, percent: int = PERCENT, k: int = SHINGLE_WORDS) -> DataFrame:
-    """The pairs (a, b) whose full shingle sets are similar enough."""
-    with_a = pairs.join(texts.select(F.col("d").alias("a"), F.col("text").alias("ta")), "a")
-    both = with_a.join(texts.select(F.col("d").alias("b"), F.col("text").alias("tb")), "b").select("a", "b", "ta", "tb")
+    """The pairs (a, b) of a written table whose full shingle sets are similar enough.
+
+    Texts are read anew each time; those without a pair stay out of the shuffles.
+    """
+    side = lambda at: texts.where(bit_filter(pairs.select(at))(F.col("d"))).select(F.col("d").alias(at), F.col("text").alias("t" + at))
+    both = pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "ta", "tb")
 
     def run(batches):
         for batch in batches:
@@ -261,35 +328,41 @@ def verified(pairs: DataFrame, texts: DataFrame, percent: int = PERCENT, k: int
 
 def similar_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = PERCENT, k: int = SHINGLE_WORDS) -> DataFrame:
     """(id, n_shingles, component_id) for every row of ``docs``."""
-    marked = materialise(signatures(docs, id_col, text_col, k).withColumnRenamed(id_col, "d"))
+    marked = materialise(signatures(docs, id_col, text_col, percent, k).withColumnRenamed(id_col, "d"))
     source = docs.select(docs[id_col].alias("d"), F.coalesce(docs[text_col].cast("string"), F.lit("")).alias("text")).where(F.col("d").isNotNull())
-    sets = marked.where(F.col("d").isNotNull() & (F.col("n") > 0)).select("d", "n", "h1", "h2")
+    sets = marked.where(F.col("d").isNotNull() & (F.col("n") > 0)).select("d", "n", "h1", "h2", "tokens")
     aliases = None
     if not sets.groupBy("d").count().where("count > 1").isEmpty():
         # An id with several rows: its further texts stand as vertices of their own, tied to the id.
         own = sets.groupBy("d").agg(F.min("h1").alias("own"))
         named = sets.join(own, "d").withColumn("alias", F.when(F.col("h1") == F.col("own"), F.col("d")).otherwise(-2 - F.pmod(F.xxhash64("d", "h1"), F.lit((1 << 62) - 1))))
         named = materialise(named.dropDuplicates(["alias"]))
-        aliases = named.where(F.col("alias") != F.col("d")).select("d", "alias", "h1")
-        sets = named.select(F.col("alias").alias("d"), "n", "h1", "h2")
+        aliases = materialise(named.where(F.col("alias") != F.col("d")).select("d", "alias", "h1"))
+        sets = named.select(F.col("alias").alias("d"), "n", "h1", "h2", "tokens")
         texts_of = source.withColumn("h1", _first_print(k)(F.col("text"))).join(aliases, ["d", "h1"], "left")
         source = materialise(texts_of.select(F.coalesce("alias", "d").alias("d"), "text").dropDuplicates(["d"]))
     by_set = sets.groupBy("h1", "h2").agg(F.min("d").alias("rep"), F.count(F.lit(1)).alias("c"))
     # Copies hang on the smallest id of their class; an id with several texts joins its classes.
     copies = sets.select("d", "h1", "h2").join(by_set.where("c > 1"), ["h1", "h2"]).where("d > rep").select(F.col("rep").alias("a"), F.col("d").alias("b"))
-    cut = materialise(prefixes(source, frequent_tokens(marked), percent, k))
-    postings = materialise(prefix_postings(cut, by_set.select(F.col("rep").alias("d")), percent))
+    copies = materialise(copies)
+    frequent = frequent_tokens(marked)
+    stored = materialise(trimmed(without(sets, copies.select(F.col("b").alias("d"))), frequent, percent))
+    short = stored.where(~F.col("enough")).select("d")
+    again = prefixes(source.where(bit_filter(short)(F.col("d"))), frequent, percent, k).join(short, "d", "left_semi")
+    cut = materialise(stored.where("enough").select("d", "n", "tokens").unionByName(again.select("d", "n", "tokens")))
+    sizes = materialise(marked.select("d", "n"))
+    release(stored, marked, *([] if aliases is None else [named]))
+    postings = prefix_postings(cut, percent)
     release(cut)
-    with_list = postings.groupBy("token").agg(F.count(F.lit(1)).alias("c")).where("c > 1")
-    live = materialise(postings.join(with_list.select("token"), "token", "left_semi"))
-    release(postings)
-    texts = candidate_texts(source, live.select("d"))
-    star, open_lists = leader_links(live, texts, percent, k)
+    with_list = materialise(postings.groupBy("token").agg(F.count(F.lit(1)).alias("c")).where("c > 1").select("token"))
+    live = materialise(postings.join(with_list, "token", "left_semi"))
+    release(postings, with_list)
+    star, open_lists = leader_links(live, source, percent, k)
     release(live)
     pairs = materialise(cross_pairs(open_lists, percent))
     release(open_lists)
-    rest = materialise(verified(pairs, texts, percent, k))
-    release(texts, pairs)
+    rest = materialise(verified(pairs, source, percent, k))
+    release(pairs)
     links = star.unionByName(rest).unionByName(copies)
     if aliases is not None:
         links = links.unionByName(aliases.select(F.col("d").alias("a"), F.col("alias").alias("b")))
@@ -297,7 +370,7 @@ def similar_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     if aliases is not None:  # labels are real ids only
         real = found.join(aliases.select("alias"), F.col("v") == F.col("alias"), "left_anti")
         found = real.join(real.groupBy("component").agg(F.min("v").alias("least")), "component").select("v", F.col("least").alias("component"))
-    out = marked.select("d", F.col("n").alias("n_shingles")).join(found, F.col("d") == F.col("v"), "left")
+    out = sizes.select("d", F.col("n").alias("n_shingles")).join(found, F.col("d") == F.col("v"), "left")
     return out.select(F.col("d").alias(id_col), "n_shingles", F.coalesce("component", "d").alias("component_id"))
 
 
