@@ -11,7 +11,9 @@ class RankConfig:
 
     ``tol_mode='scaled'`` divides the tolerance by the number of vertices: on a
     graph of 2e11 vertices the mean rank lies below 1e-10, and an absolute test
-    would stop at once.
+    would stop at once.  ``frontier_rows`` is the most vertices that a frontier
+    may have to be broadcast; larger ones are joined where the edges lie.  Neither
+    way changes a result.
     """
 
     alpha: float = 0.85
@@ -24,6 +26,7 @@ class RankConfig:
     layout: str = "none"
     split_degree: int = 64
     salts: int = 8
+    frontier_rows: int = 100_000
 
     def bar(self, n: int) -> float:
         return self.tol / n if self.tol_mode == "scaled" else self.tol

@@ -5,7 +5,16 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..storage import settle
+from ..storage import discard, written
+
+MOST_PARTS = 12
+
+
+def merge(parts: list[DataFrame]) -> DataFrame:
+    out = parts[0]
+    for p in parts[1:]:
+        out = out.unionByName(p)
+    return out
 
 
 def seed_marks(delta: DataFrame) -> DataFrame:
@@ -26,14 +35,28 @@ def seed_flags(edges: DataFrame, delta: DataFrame) -> DataFrame:
     return marks.where("flagged").select("v").union(expand(edges, marks.where("pending"))).distinct()
 
 
-def reachable(edges: DataFrame, seeds: DataFrame, most_levels: int = 100_000) -> tuple[DataFrame, int]:
-    """Everything reachable from the seeds, and the number of levels searched (the last one is empty)."""
-    seen = settle(seeds.select("v").distinct())
-    front, levels = seen, 0
-    while levels < most_levels:
+def reachable(edges: DataFrame, seeds: DataFrame, most_front: int = 100_000) -> tuple[DataFrame, int]:
+    """Everything reachable from the seeds, and the number of levels searched (the last one is empty).
+
+    A level's frontier is counted and broadcast up to ``most_front`` vertices.
+    What was seen is kept in parts that are merged now and then, so a long path
+    does not rewrite it level by level.
+    """
+    front = written(seeds.select("v").distinct())
+    parts, levels = [front], 0
+    while True:
         levels += 1
-        front = settle(expand(edges, front).join(seen, "v", "left_anti"))
+        few = front.count() <= most_front
+        sent = front.select(F.col("v").alias("src"))
+        found = edges.join(F.broadcast(sent) if few else sent, "src", "left_semi").select(F.col("dst").alias("v")).distinct()
+        for p in parts:
+            found = found.join(p, "v", "left_anti")
+        front = written(found)
         if front.isEmpty():
             break
-        seen = settle(seen.unionByName(front))
-    return seen, levels
+        parts.append(front)
+        if len(parts) > MOST_PARTS:
+            merged = written(merge(parts))
+            discard(*(p for p in parts if p is not front))
+            parts = [merged]
+    return merge(parts), levels

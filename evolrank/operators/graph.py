@@ -2,20 +2,52 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..storage import bucketed
+
 
 @dataclass(frozen=True)
 class Graph:
-    """edges (src, dst), one loop a vertex; degrees (v, out_deg, in_deg)."""
+    """edges (src, dst), one loop a vertex; degrees (v, out_deg, in_deg).
+
+    ``held`` keeps the copies of the edges that were dealt out by source or by
+    target; they are made once a snapshot and shared by all approaches.
+    """
 
     edges: DataFrame
     degrees: DataFrame
     n: int
     version: int = 0
+    held: dict = field(default_factory=dict, compare=False, repr=False)
+
+    @property
+    def parts(self) -> int:
+        return self.held.setdefault("parts", int(self.edges.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+
+    def out_edges(self) -> DataFrame:
+        """(src, dst) dealt out by source: for sending along edges."""
+        if "out" not in self.held:
+            self.held["out"] = bucketed(self.edges.select("src", "dst"), "src", self.parts)
+        return self.held["out"]
+
+    def in_edges(self) -> DataFrame:
+        """(src, dst) dealt out by target: for pulling to a few vertices."""
+        if "in" not in self.held:
+            self.held["in"] = bucketed(self.edges.select("src", "dst"), "dst", self.parts)
+        return self.held["in"]
+
+    def classed_edges(self, split_degree: int) -> DataFrame:
+        """(src, dst, src_hub, dst_hub) dealt out by source: whether each end has at least so many edges."""
+        key = ("classed", split_degree)
+        if key not in self.held:
+            ends = self.edges.join(self.degrees.select(F.col("v").alias("src"), (F.col("out_deg") >= split_degree).alias("src_hub")), "src")
+            ends = ends.join(self.degrees.select(F.col("v").alias("dst"), (F.col("in_deg") >= split_degree).alias("dst_hub")), "dst")
+            self.held[key] = bucketed(ends.select("src", "dst", "src_hub", "dst_hub"), "src", self.parts)
+        return self.held[key]
 
 
 def static_edges(temporal: DataFrame) -> DataFrame:
@@ -54,10 +86,11 @@ def dead_ends(edges: DataFrame) -> DataFrame:
     return vertices(edges).join(edges.select(F.col("src").alias("v")).distinct(), "v", "left_anti")
 
 
-def packed_adjacency(edges: DataFrame, chunk: int = 1024, salt_bits: int = 0) -> DataFrame:
-    """(v, chunk, nbrs): sorted neighbour arrays; hubs are cut into chunks so that no row grows without bound."""
-    slot = F.pmod(F.xxhash64("dst"), F.lit(1 << salt_bits)) if salt_bits else F.lit(0).cast("long")
-    return edges.groupBy(F.col("src").alias("v"), slot.alias("chunk")).agg(F.sort_array(F.collect_list("dst")).alias("nbrs"))
+def packed_adjacency(edges: DataFrame, chunk: int = 1024) -> DataFrame:
+    """(v, chunk, nbrs): sorted neighbour arrays of about ``chunk`` entries; a hub has as many rows as its degree asks for."""
+    size = edges.groupBy("src").agg(F.ceil(F.count("*") / F.lit(chunk)).alias("slots"))
+    slot = F.pmod(F.xxhash64("dst"), F.col("slots"))
+    return edges.join(size, "src").groupBy(F.col("src").alias("v"), slot.alias("chunk")).agg(F.sort_array(F.collect_list("dst")).alias("nbrs"))
 
 
 def normalise_delta(edges: DataFrame, delta: DataFrame) -> DataFrame:
@@ -79,6 +112,16 @@ def apply_delta(edges: DataFrame, delta: DataFrame) -> DataFrame:
     return kept.unionByName(loops).distinct()
 
 
+def changed_degrees(deg: DataFrame, edges: DataFrame, delta: DataFrame) -> DataFrame:
+    """(v, out_deg, in_deg) after a batch on ``edges``: only the ends of real changes are counted anew."""
+    real = normalise_delta(edges, delta).withColumn("by", F.when(F.col("op") == "ins", 1).otherwise(-1))
+    ends = real.select(F.col("src").alias("v"), F.col("by").alias("o"), F.lit(0).alias("i")).unionByName(real.select(F.col("dst").alias("v"), F.lit(0).alias("o"), F.col("by").alias("i")))
+    moved = ends.groupBy("v").agg(F.sum("o").alias("o"), F.sum("i").alias("i"))
+    # A vertex that was not there before gets its loop, which counts once on each side.
+    was = lambda c: F.coalesce(c, F.lit(1))
+    return deg.join(moved, "v", "full").select("v", (was("out_deg") + F.coalesce("o", F.lit(0))).alias("out_deg"), (was("in_deg") + F.coalesce("i", F.lit(0))).alias("in_deg"))
+
+
 def diff(old: DataFrame, new: DataFrame) -> DataFrame:
     """The batch that turns one edge table into another."""
     a, b = old.select("src", "dst"), new.select("src", "dst")
@@ -104,6 +147,7 @@ def degree_split(deg: DataFrame, side: str = "in_deg", split_degree: int = 64, b
     ranged = deg.select("v", klass.alias("klass")).repartitionByRange(buckets, "v").sortWithinPartitions("v")
     from ..storage import settle
 
+    # The second step needs the same ranges as the first.
     parted = settle(ranged.withColumn("part", F.spark_partition_id()))
     from pyspark.sql import Window
 

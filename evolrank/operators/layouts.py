@@ -19,19 +19,27 @@ def high_path(shares: DataFrame, salts: int) -> DataFrame:
     return part.groupBy(F.col("dst").alias("v")).agg(F.sum("s").alias("total"))
 
 
-def in_sums(shares: DataFrame, g, cfg: RankConfig) -> DataFrame:
-    """(v, total) from (src, dst, share) under the configured layout; all layouts give the same sums."""
+def sending_edges(g, cfg: RankConfig) -> DataFrame:
+    """The edges that a step sends along, with the classes of their ends where the layout asks for them."""
+    return g.out_edges() if cfg.layout == "none" else g.classed_edges(cfg.split_degree)
+
+
+def in_sums(shares: DataFrame, cfg: RankConfig) -> DataFrame:
+    """(v, total) from (src, dst, share[, dst_hub]) under the configured layout; all layouts give the same sums."""
     if cfg.layout == "none":
         return low_path(shares)
-    hubs = g.degrees.where(F.col("in_deg") >= cfg.split_degree).select(F.col("v").alias("dst"))
-    low = low_path(shares.join(hubs, "dst", "left_anti"))
-    high = high_path(shares.join(hubs, "dst", "left_semi"), cfg.salts)
-    return low.unionByName(high)
-
-
-def expand_both(g, pending: DataFrame, cfg: RankConfig) -> DataFrame:
-    """Marking split by out-degree: plain for low degrees, chunks of hubs marked apart."""
-    hub = g.degrees.where(F.col("out_deg") >= cfg.split_degree).select("v")
-    few, many = pending.join(hub, "v", "left_anti"), pending.join(hub, "v", "left_semi")
-    mark = lambda p: g.edges.join(p.select(F.col("v").alias("src")), "src", "left_semi").select(F.col("dst").alias("v"))
-    return mark(few).union(mark(many).distinct()).distinct()
+    return low_path(shares.where(~F.col("dst_hub"))).unionByName(high_path(shares.where("dst_hub"), cfg.salts))
+
+
+def expand_out(g, pending: DataFrame, cfg: RankConfig, few: bool) -> DataFrame:
+    """(v): out-neighbours of the pending vertices.  Edges are never shuffled: a short frontier is sent to them.
+
+    With layout ``both`` the edges of hubs are marked apart, and their targets combined before the shuffle.
+    """
+    front = pending.select(F.col("v").alias("src"))
+    front = F.broadcast(front) if few else front
+    mark = lambda e: e.join(front, "src", "left_semi").select(F.col("dst").alias("v"))
+    if cfg.layout != "both":
+        return mark(g.out_edges()).distinct()
+    edges = g.classed_edges(cfg.split_degree)
+    return mark(edges.where(~F.col("src_hub"))).unionByName(mark(edges.where("src_hub")).distinct()).distinct()

@@ -9,23 +9,23 @@ from ..config import RankConfig
 from ..functions.rank_math import plain_update
 from ..operators import frontier
 from ..operators.graph import Graph, degrees
-from ..storage import fixed_partitioning, settle
+from ..storage import bucketed, discard, fixed_partitioning, settle
 from .engine import RankResult, _measure, carry_over, deal, pull_step, uniform
 
 
 def _loop(g: Graph, cfg: RankConfig, step, start: DataFrame | None = None) -> RankResult:
     """Iterate ``step(g, ranks, i) -> (v, rank, prev, visits)`` until the norm is small."""
-    with fixed_partitioning(g.edges.sparkSession):
-        g = deal(g)
-        ranks, visits, delta, i, log = settle(start if start is not None else uniform(g)), 0, float("inf"), 0, []
-        while i < cfg.max_iter and delta > cfg.bar(g.n):
-            made = settle(step(g, ranks, i))
-            i += 1
-            delta, seen = _measure(made, cfg)
-            visits += seen
-            log.append((i, delta, seen))
-            ranks = made.select("v", "rank")
-        return RankResult(ranks.withColumn("ever", F.lit(True)), i, delta, visits, log)
+    g = deal(g)
+    ranks, visits, delta, i, log = bucketed(start if start is not None else uniform(g), "v", g.parts), 0, float("inf"), 0, []
+    while i < cfg.max_iter and delta > cfg.bar(g.n):
+        made = bucketed(step(g, ranks, i), "v", g.parts)
+        discard(ranks)
+        i += 1
+        delta, seen = _measure(made, cfg)
+        visits += seen
+        log.append((i, delta, seen))
+        ranks = made
+    return RankResult(ranks.select("v", "rank", F.lit(True).alias("ever")), i, delta, visits, log)
 
 
 def _close(g: Graph, ranks: DataFrame, sums: DataFrame, cfg: RankConfig) -> DataFrame:

@@ -38,7 +38,7 @@ def loaded(spark: SparkSession, sf: str, graph: str) -> G.Graph:
 
 def after(g: G.Graph, delta: DataFrame) -> G.Graph:
     edges = settle(G.apply_delta(g.edges, delta))
-    deg = settle(G.degrees(edges))
+    deg = settle(G.changed_degrees(g.degrees, g.edges, delta))
     return G.Graph(edges, deg, deg.count(), g.version + 1)
 
 
@@ -95,7 +95,7 @@ query("seed_expanded", _RB + "SELECT v FROM seeds")(lambda spark, sf: (lambda g,
 query("expand_once", _RB + "SELECT DISTINCT e.dst AS v FROM new_edges e JOIN seeds s ON s.v = e.src")(
     lambda spark, sf: (lambda g, d: (lambda e: frontier.expand(e, frontier.seed_flags(e, d)))(settle(G.apply_delta(g.edges, d))))(*_batch(spark, sf)))
 query("expand_both", _RB + "SELECT DISTINCT e.dst AS v FROM new_edges e JOIN seeds s ON s.v = e.src")(
-    lambda spark, sf: (lambda g, d: (lambda n: layouts.expand_both(n, frontier.seed_flags(n.edges, d), replace(CFG, split_degree=32)))(after(g, d)))(*_batch(spark, sf)))
+    lambda spark, sf: (lambda g, d: (lambda n: layouts.expand_out(n, frontier.seed_flags(n.edges, d), replace(CFG, layout="both", split_degree=32), False))(after(g, d)))(*_batch(spark, sf)))
 query("reachable_set", _with("site_links", S.batch_ctes(1e-2), S.SEEDS, S.REACH) + "SELECT v FROM reach")(
     lambda spark, sf: (lambda g, d: (lambda e: frontier.reachable(e, frontier.seed_flags(e, d))[0])(settle(G.apply_delta(g.edges, d))))(*_batch(spark, sf, "site_links", 1e-2)))
 

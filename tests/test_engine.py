@@ -42,27 +42,89 @@ LOOPED = EDGES + [(v, v) for v in range(8)]
 
 
 def test_static_equals_power_iteration(toy):
-    want, i = brute(LOOPED, 8)
-    got = engine.static_rank(toy)
+    cfg = RankConfig(tol=1e-3)
+    want, i = brute(LOOPED, 8, cfg)
+    got = engine.static_rank(toy, cfg)
     assert got.iterations == i
     assert np.allclose(vector(got), want, atol=1e-12)
     assert abs(vector(got).sum() - 1) < 1e-12
     assert vector(got).min() >= 0.15 / 8
 
 
-@pytest.mark.parametrize("approach", ["warm", "reach", "grow", "grow_prune"])
-def test_dynamic_approaches_meet_the_new_fixpoint(spark, toy, approach):
-    prev = engine.static_rank(toy).ranks
-    delta = spark.createDataFrame([("ins", 5, 0), ("del", 2, 3)], "op string, src long, dst long")
-    edges = settle(G.apply_delta(toy.edges, delta))
-    new = G.Graph(edges, settle(G.degrees(edges)), 8)
-    want, _ = brute([e for e in LOOPED if e != (2, 3)] + [(5, 0)], 8)
-    got = engine.run(approach, new, delta, prev)
-    assert np.abs(vector(got) - want).sum() < (1e-4 if approach.startswith("grow") else 1e-8)
+def brute_frontier(edges, n, flags, start, cfg, prune, grow=True):
+    """Ranks, ever-flagged vertices, the flags before each step, and the in-edges of all flagged vertices."""
+    out = np.bincount([a for a, _ in edges], minlength=n)
+    r, ever, seen, visits = start.copy(), set(flags), [set(flags)], 0
+    for _ in range(cfg.max_iter):
+        new = r.copy()
+        for v in flags:
+            total = sum(r[a] / out[a] for a, b in edges if b == v)
+            visits += sum(b == v for _, b in edges)
+            new[v] = 0.15 / n + 0.85 * total
+            if prune:
+                new[v] = (0.85 * (total - r[v] / out[v]) + 0.15 / n) / (1 - 0.85 / out[v])
+        change, rel = np.abs(new - r).max(), np.abs(new - r) / np.maximum(new, r)
+        if grow:
+            kept = {v for v in flags if rel[v] > cfg.tol_prune} if prune else set(flags)
+            flags = kept | {b for a, b in edges if a in flags and rel[a] > cfg.tol_frontier}
+        r, ever = new, ever | flags
+        seen.append(set(flags))
+        if change <= cfg.tol:
+            break
+    return r, ever, seen, visits
+
+
+@pytest.fixture(scope="module")
+def updated(spark, toy):
+    prev = engine.static_rank(toy, RankConfig(max_iter=6)).ranks
+    delta = spark.createDataFrame([("ins", 5, 3), ("del", 3, 4)], "op string, src long, dst long")
+    return settle(prev), settle(delta), queries.after(toy, delta)
+
+
+# The first bound works on few vertices apart, the second in full steps.
+@pytest.mark.parametrize("rows", [100_000, 0])
+@pytest.mark.parametrize("approach", ["reach", "grow", "grow_prune"])
+def test_frontiers_take_the_steps_of_brute_force(monkeypatch, updated, approach, rows):
+    prev, delta, new = updated
+    monkeypatch.setattr(engine, "SMALL_SHARE", 1)
+    cfg = RankConfig(max_iter=4, frontier_rows=rows, tol_frontier=0.02, tol_prune=0.01, layout="none" if rows else "both", split_degree=3)
+    edges = [(r.src, r.dst) for r in new.edges.collect()]
+    flags = {4} | {b for a, b in edges if a in (5, 3)}
+    assert {r.v for r in frontier.seed_flags(new.edges, delta).collect()} == flags
+    if approach == "reach":
+        flags = {r.v for r in frontier.reachable(new.edges, frontier.seed_flags(new.edges, delta), rows)[0].collect()}
+    start = np.zeros(8)
+    for r in prev.collect():
+        start[r.v] = r["rank"]
+    want, ever, _, visits = brute_frontier(edges, 8, flags, start, cfg, approach == "grow_prune", approach != "reach")
+    got = engine.run(approach, new, delta, prev, cfg)
+    assert np.allclose(vector(got), want, atol=1e-13)
+    assert {r.v for r in got.ranks.where("ever").collect()} == ever
+    assert got.edge_visits == visits
+
+
+def test_no_step_shuffles_edges(updated):
+    prev, _, new = updated
+    g = engine.deal(new)
+    flags = settle(g.degrees.where("v < 3").select("v"))
+    for few in (True, False):
+        plan = engine.pull_step(g, g.degrees.select("v", F.lit(0.125).alias("rank"), "out_deg", "in_deg"), RankConfig(), flags, few=few)._jdf.queryExecution().executedPlan().toString()
+        dealt = [line for line in plan.split("\n") if "Exchange hashpartitioning" in line]
+        assert all("hashpartitioning(src" not in line for line in dealt)
+        assert sum("hashpartitioning(dst" in line for line in dealt) == 1  # the partial sums
+
+
+def test_degrees_follow_a_batch(spark, toy):
+    delta = spark.createDataFrame([("ins", 5, 9), ("del", 2, 3), ("ins", 0, 1), ("del", 7, 0)], "op string, src long, dst long")
+    want = G.degrees(G.apply_delta(toy.edges, delta))
+    assert sorted(map(tuple, G.changed_degrees(toy.degrees, toy.edges, delta).collect())) == sorted(map(tuple, want.collect()))
+    wide = spark.range(3000).selectExpr("0L AS src", "id AS dst")
+    chunks = G.packed_adjacency(wide, 1000).collect()
+    assert len(chunks) == 3 and sorted(x for r in chunks for x in r.nbrs) == list(range(3000))
 
 
 def test_empty_batch_keeps_ranks(spark, toy):
-    prev = engine.static_rank(toy).ranks
+    prev = engine.uniform(toy)
     none = spark.createDataFrame([], "op string, src long, dst long")
     got = engine.run("grow_prune", toy, none, prev)
     assert got.iterations == 1 and got.edge_visits == 0
