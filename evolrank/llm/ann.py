@@ -16,7 +16,8 @@ a whole leaf.
 Vectors that are null, zero, of another length than the sample's usual one, or hold null
 or non-finite components take no part, neither as queries nor as candidates.
 Rows with a null id take no part.  Ties go to the smaller id; a repeated id is
-one candidate per different vector.
+one candidate per different vector.  An empty table, or one without a usable
+vector, gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -118,13 +119,15 @@ def exact_scores(x: np.ndarray, q: np.ndarray) -> np.ndarray:
 def _top_rows(queries: np.ndarray, vectors: np.ndarray, first_ids: np.ndarray, top: int) -> list[tuple[np.ndarray, np.ndarray]]:
     """For each query the places and exact scores of its best rows, ties to the smaller id."""
     out = []
+    # Rounding of a product is bounded by its length and the lengths of both vectors.
+    slack = 4 * vectors.shape[1] * np.finfo(float).eps * np.sqrt((vectors**2).sum(axis=1).max()) * np.sqrt((queries**2).sum(axis=1))
     for a in range(0, len(queries), 256):
         rough = vectors @ queries[a : a + 256].T
         m = min(len(vectors), top + 12)
         for j in range(rough.shape[1]):
             pick = np.argpartition(-rough[:, j], m - 1)[:m] if m < len(vectors) else np.arange(len(vectors))
             if m < len(vectors):  # everything that rounding could tie with the last place
-                pick = np.flatnonzero(rough[:, j] >= rough[pick, j].min() - 1e-9)
+                pick = np.flatnonzero(rough[:, j] >= rough[pick, j].min() - slack[a + j])
             s = exact_scores(vectors[pick], queries[a + j])
             order = np.lexsort((first_ids[pick], -s))[:top]
             out.append((pick[order], s[order]))
@@ -147,10 +150,12 @@ def distinct_vectors(vectors: DataFrame, ids: int) -> DataFrame:
     return ranked.groupBy("v").agg(F.min("id").alias("first"), F.array_sort(F.collect_set("id")).alias("ids"))
 
 
-def fit_tree(entries: DataFrame, rows: int = SAMPLE_ROWS) -> tuple[KMeansTree, np.ndarray]:
-    """The tree and its sample; the sample is spread over the table by a hash of the id."""
+def fit_tree(entries: DataFrame, rows: int = SAMPLE_ROWS) -> tuple[KMeansTree, np.ndarray] | None:
+    """The tree and its sample, spread over the table by a hash of the id; none without entries."""
     got = entries.select("first", "v").orderBy(F.xxhash64("first"), "first").limit(rows).toPandas()
-    dim = Counter(map(len, got["v"])).most_common(1)[0][0] if len(got) else 0
+    if not len(got):
+        return None
+    dim = Counter(map(len, got["v"])).most_common(1)[0][0]
     sample = np.array([v for v in got["v"] if len(v) == dim], dtype=np.float64).reshape(-1, dim)
     return KMeansTree(sample), sample
 
@@ -192,10 +197,10 @@ def search(rows: DataFrame, query_rows: DataFrame, id_col: str = "vec_id", vecto
     spark = rows.sparkSession
     entries0 = distinct_vectors(usable_vectors(rows, id_col, vector_col), top + 1)
     plain = materialise(entries0)
-    tree, sample = fit_tree(plain)
-    empty = spark.createDataFrame([], "query_id long, rank int, vec_id long, score double")
-    if not len(sample):
-        return empty
+    fitted = fit_tree(plain)
+    if fitted is None:
+        return spark.createDataFrame([], "query_id long, rank int, vec_id long, score double")
+    tree, sample = fitted
     dim, leaves = tree.dim, tree.leaves
     held = spark.sparkContext.broadcast(tree)
 
