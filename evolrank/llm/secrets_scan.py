@@ -6,7 +6,9 @@ are then validated, so that random look-alikes do not count.  Hexadecimal runs
 have no literal head and are found by their own run pattern.
 
 Spans are (kind, start, end) in code points, end exclusive.  Null and empty
-texts have none; overlapping spans of different kinds are all reported.
+texts have none; overlapping spans of different kinds are all reported.  Very
+long texts and runs take time in proportion to their length; repeated rows are
+each scanned; rows with a null id are returned; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -27,6 +29,7 @@ from .common import LOWER, UPPER, map_texts, table
 ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.I | re.A)
 ACCESS = re.compile(r"AKIA[A-Z0-9]+")
 HEX = re.compile(r"[0-9a-f]{32,}")
+JWT_RUN = re.compile(r"[A-Za-z0-9_-]+")
 ASSIGN_HEADS = ("password", "passwd", "secret", "token", "apikey", "api_key")
 KINDS = ("assign", "access", "hex", "crc_token", "pem_key", "jwt", "chat_token", "pay_key", "cloud_key", "repo_token")
 EXTRA = {
@@ -97,6 +100,8 @@ def scan(text: str, heads: ahocorasick.Automaton) -> list[tuple[str, int, int]]:
             continue
         m = pattern.match(text, start)
         if not m:
+            if kind == "jwt":  # whatever follows this run is the same for every head in it
+                done[kind] = JWT_RUN.match(text, start).end() if text.startswith("eyJ", start) else start
             continue
         done[kind] = m.end()
         if kind == "assign" and len(m[2]) < 8 or kind == "access" and len(m[0]) < 16 or kind in VALID and not VALID[kind](m[0]):
