@@ -36,7 +36,6 @@ TOXIC_ROWS, OTHER_ROWS = 2_000, 4_000  # most labelled rows that the fit reads
 THRESHOLD = 0.7
 STEM_LENGTHS = range(3, 9)
 COVER = 4  # times a toxic sample document should be covered by mined stems
-CONTEXT = 240  # characters of a clause read on each side of a hit
 
 # Seed words of each token class.
 INSULTS = (
@@ -145,19 +144,19 @@ class Grammar:
 
     def read(self, text: str) -> list[int]:
         """How often each clause label occurs in a text."""
-        low, counts, done = text.lower(), [0] * len(LABELS), -1
+        low, counts, done = text.lower(), [0] * len(LABELS), 0
         for end, (size, is_stem) in self.heads.iter(low):
             start = end - size + 1
             if start < done or start and low[start - 1].isalpha() or not is_stem and end + 1 < len(low) and low[end + 1].isalpha():
                 continue
-            left = max(0, start - CONTEXT)
+            left = done  # the last clause read ended here, so every character is passed over twice at most
             for m in CLAUSE_END.finditer(low, left, start):
                 left = m.end()
-            m = CLAUSE_END.search(low, end + 1, min(len(low), end + CONTEXT))
-            done = m.end() if m else min(len(low), end + CONTEXT)
+            m = CLAUSE_END.search(low, end + 1)
+            done = m.end() if m else len(low)
             state = 0
-            for word in WORDS.findall(low, left, done):
-                state = self.arcs[state][self.token_class(word)]
+            for m in WORDS.finditer(low, left, done):
+                state = self.arcs[state][self.token_class(m[0])]
             if self.labels[state] >= 0:
                 counts[self.labels[state]] += 1
         return counts
