@@ -271,18 +271,19 @@ def repeated_intervals(docs: DataFrame, window: int = WINDOW, k: int = ANCHOR, h
     """(d, tag, f, t): word intervals [f, t) covered by windows that start earlier; docs: (d, tag, text), no exact copies."""
     found = materialise(anchors(docs, window, k))
     spread = found.select("d", "tag", F.explode("found").alias("a")).select("d", "tag", "a.ah", "a.rh", "a.start", "a.n")
-    shared = spread.groupBy("ah").agg(F.count(F.lit(1)).alias("c")).where("c > 1").select("ah")
+    # Counts are written before they are joined: an anchor that fills a third of a table is then split by the planner.
+    shared = materialise(spread.groupBy("ah").agg(F.count(F.lit(1)).alias("c")).where("c > 1").select("ah"))
     places = materialise(spread.join(shared, "ah", "left_semi"))
-    release(found)
+    release(found, shared)
     firsts = materialise(places.groupBy("ah", "rh").agg(F.min(F.struct("d", "start", "tag", "n")).alias("m")))
     kept = F.struct(F.col("m.d"), F.col("m.start"), F.col("m.tag"))
     judged = places.join(firsts, ["ah", "rh"]).where(F.struct("d", "start", "tag") > kept)
     later = materialise(judged.select("d", "tag", F.col("start").cast("long").alias("f"), (F.col("start") + F.col("n")).cast("long").alias("t")))
     release(places)
-    many = firsts.groupBy("ah").agg(F.count(F.lit(1)).alias("kinds")).where("kinds > 1")
+    many = materialise(firsts.groupBy("ah").agg(F.count(F.lit(1)).alias("kinds")).where("kinds > 1"))
     open_ = firsts.join(many, "ah").select("m.d", "m.tag", F.struct("ah", "kinds", "m.start", "m.n").alias("a"))
     wanted = materialise(open_.groupBy("d", "tag").agg(F.collect_list("a").alias("found")))  # of one text
-    release(firsts)
+    release(firsts, many)
     keep = bit_filter(wanted.select("d"))
     single = materialise(region_rows(docs.where(keep(F.col("d"))), wanted))
     release(wanted)
