@@ -6,7 +6,9 @@ import atexit
 import tempfile
 import uuid
 
+import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -17,6 +19,8 @@ SPACES = " \t\n\x0b\x0c\r"
 WORD_PATTERN = r"[^\x20\x09-\x0D]+"
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
+SLICE_BYTES = 16 << 20  # of text that Python handles at once; a longer text stands alone
+
 _PATHS: dict[int, tuple[DataFrame, str]] = {}  # written tables that are not released yet
 
 
@@ -97,8 +101,19 @@ def broadcast_up_to(df: DataFrame, rows: int) -> DataFrame:
     return df
 
 
+def slices(batch: pa.RecordBatch, column: int, most: int = SLICE_BYTES):
+    """Parts of an Arrow batch with at most ``most`` bytes in a text column, or with one row."""
+    sizes = pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False).astype(np.int64)
+    ends, at = np.cumsum(sizes), 0
+    while at < len(batch):
+        before = int(ends[at - 1]) if at else 0
+        to = max(at + 1, int(np.searchsorted(ends, before + most, side="right")))
+        yield batch.slice(at, to - at)
+        at = to
+
+
 def map_texts(docs: DataFrame, start, fields: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Stream (id, text) through Python in Arrow batches; the id column passes untouched.
+    """Stream (id, text) through Python in slices of Arrow batches; the id column passes untouched.
 
     ``start()`` runs once a task and returns a function from a list of texts
     (null read as empty) to a dict of Arrow arrays or lists, one for each field.
@@ -108,7 +123,7 @@ def map_texts(docs: DataFrame, start, fields: str, id_col: str = "doc_id", text_
 
     def run(batches):
         work = start()
-        for b in batches:
+        for b in (part for whole in batches for part in slices(whole, 1)):
             made = work(b.column(1).to_pylist())
             cols = [b.column(0).cast(kinds.field(0).type)]
             cols += [made[f.name] if isinstance(made[f.name], pa.Array) else pa.array(made[f.name], f.type) for f in list(kinds)[1:]]

@@ -39,7 +39,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .bitfilter import bit_filter
-from .common import map_texts, materialise, release, table
+from .common import map_texts, materialise, release, slices, table
 from .components import connected_components
 from .shingles import shingle_set
 
@@ -48,7 +48,7 @@ PERCENT = 80
 MOST_MATCHES = 6  # largest L that a document may pick
 SPARE = 4  # tokens stored beyond the longest prefix, and an eighth of it; a document with more frequent ones is read twice
 FREQUENT, MOST_FREQUENT = 32, 200_000  # tokens put last: at least so frequent, at most so many
-BATCH_REPEATS = 3  # times a batch must hold a token for it to be counted as possibly frequent
+BATCH_REPEATS = 3  # times a slice of texts must hold a token for it to be counted as possibly frequent
 VERIFY_COST = 40.0  # of one verified pair, in postings read
 CLASS_RATIO = 1.02  # between neighbouring size classes of a posting list
 MOST_CROSS = 4  # largest L across components, where shorter prefixes meet in fewer lists
@@ -84,7 +84,7 @@ def _list_array(lists: list[np.ndarray]) -> pa.ListArray:
 
 
 def signatures(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = PERCENT, k: int = SHINGLE_WORDS) -> DataFrame:
-    """(id, n, h1, h2, often, tokens): set size and fingerprint; one row of a batch also carries its repeated tokens.
+    """(id, n, h1, h2, often, tokens): set size and fingerprint; one row of a slice of texts also carries its repeated tokens.
 
     ``tokens`` are the smallest hashes: the longest prefix and some more, in place
     of those that turn out to be frequent.
@@ -310,7 +310,7 @@ def verified(pairs: DataFrame, texts: DataFrame, percent: int = PERCENT, k: int
     both = pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "ta", "tb")
 
     def run(batches):
-        for batch in batches:
+        for batch in (part for whole in batches for part in slices(whole, 3)):
             last, keep = (None, None), []
             cache: dict = {}
             for a, b, ta, tb in zip(*(batch.column(i).to_pylist() for i in range(4)), strict=True):
