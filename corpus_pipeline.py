@@ -56,7 +56,7 @@ STAGES = [
     ("benchmark decontamination", decontamination_stage),
     ("BPE", bpe_stage),
 ]
-ORACLE_SQL = None  # tokens and the fitted rules are beyond SQL; tests compare with a brute-force version
+ORACLE_SQL = None  # tokens and the fitted rules are beyond SQL; the operators of the stages are tested one by one
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
