@@ -26,7 +26,7 @@ def bit_filter(ids: DataFrame) -> Callable[[Column], Column]:
     place = _place(ids[ids.columns[0]])
     parts = ids.select(place.alias("p")).groupBy(F.floor(F.col("p") / 32768).alias("k")).agg(F.bitmap_construct_agg(F.col("p") % 32768).alias("bits"))
     wide = np.zeros(FILTER_BITS // 8, dtype=np.uint8)
-    for r in parts.toLocalIterator():  # at most FILTER_BITS / 32768 rows of 4 kB
+    for r in parts.collect():  # at most FILTER_BITS / 32768 rows of 4 kB, in one job (an iterator would run one for each partition)
         wide[r.k * 4096 : (r.k + 1) * 4096] = np.frombuffer(bytes(r.bits), dtype=np.uint8)
     held = ids.sparkSession.sparkContext.broadcast(wide)
 
