@@ -18,7 +18,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table, text_of
+from .common import materialise, table, text_of
 
 MOST_GAP = 3
 MOST_PIECES = 40
@@ -104,8 +104,9 @@ def match_rules(hits: DataFrame) -> DataFrame:
     so no document's identifiers are gathered into one value.
     """
     spark = hits.sparkSession
+    hits = materialise(hits.distinct())  # every step of a chain reads them; the texts are cut and compared once
     steps = spark.createDataFrame([(r, i, s, len(seq)) for r, seq in RULES.items() for i, s in enumerate(seq)], "rule string, step int, sentence string, n_steps int")
-    tagged = hits.distinct().join(F.broadcast(steps), "sentence").select("d", "at", "to", "rule", "step", "n_steps")
+    tagged = hits.join(F.broadcast(steps), "sentence").select("d", "at", "to", "rule", "step", "n_steps")
     chain = tagged.where("step = 0").select("d", "rule", "n_steps", F.col("at").alias("first_at"), F.col("to").alias("last_at"))
     ends = chain.where("n_steps = 1").select("d", "rule", "first_at")
     for step in range(1, max(map(len, RULES.values()))):
