@@ -6,7 +6,8 @@ found where neighbouring pieces, at most ``MOST_PIECES``, put together are that
 sentence: wrapped lines and sentences on one line both count.  Identifiers of a
 document, in order, are then matched against rules: a rule holds if its
 identifiers occur in that order with at most ``MOST_GAP`` foreign pieces between
-neighbours.  Only documents with a known sentence reach the shuffle.
+neighbours.  Only texts with the longest word of some known sentence are cut,
+and only documents with a known sentence reach the shuffle.
 
 Defined results: null and empty texts and documents without a licence give no
 row; a rule is reported once per document with its first place and number of
@@ -15,6 +16,8 @@ times; rows with a null id take no part; other columns are ignored.
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -83,16 +86,30 @@ def known_sentences(spark: SparkSession) -> DataFrame:
     return rows.select(F.substring_index("known", " ", 1).alias("first"), "known", "sentence")
 
 
+def telling_words() -> list[str]:
+    """The longest word of every known sentence: a text without any of them holds none of the sentences."""
+    longest = {max(re.findall(r"[a-z0-9]+", body.lower()), key=len) for body in [*SENTENCES.values(), *(b for _, b in FORMS)]}
+    return sorted(w for w in longest if not any(v != w and v in w for v in longest))
+
+
+def may_hold(text: Column) -> Column:
+    """Whether a text has a telling word; the class of their first letters passes most places by."""
+    words = telling_words()
+    return F.lower(text).rlike(f"(?=[{''.join(sorted({w[0] for w in words}))}])(?:{'|'.join(words)})")
+
+
 def sentence_hits(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(d, at, to, sentence): first and last piece of every sentence of a document that a licence is known to have."""
-    cut = docs.where(docs[id_col].isNotNull()).select(docs[id_col].alias("d"), F.split(text_of(docs, text_col), CUT).alias("pieces"))
-    spread = cut.select("d", "pieces", F.posexplode("pieces").alias("at", "raw")).withColumn("s", normalised(F.substring("raw", 1, 60)))
+    text = text_of(docs, text_col)
+    cut = docs.where(docs[id_col].isNotNull() & may_hold(text)).select(docs[id_col].alias("d"), F.split(text, CUT).alias("pieces"))
+    opening = F.transform("pieces", lambda p: normalised(F.substring(F.regexp_replace(p, r"^[^\p{L}\p{N}]+", ""), 1, 60)))
+    spread = cut.select("d", "pieces", F.posexplode_outer(opening).alias("at", "s"))  # outer: no filter that would cut the text once more
     known = F.broadcast(known_sentences(docs.sparkSession))  # as many rows as this module states
-    begun = spread.withColumn("first", F.substring_index("s", " ", 1)).join(known, "first")
-    begun = begun.where(F.col("known").startswith(F.substring("s", 1, 40)) & (F.col("s") != ""))
-    near = begun.select("d", "at", "known", "sentence", F.slice("pieces", F.col("at") + 1, MOST_PIECES).alias("near"))
+    begun = spread.where("s != ''").withColumn("first", F.substring_index("s", " ", 1)).join(known, "first")
+    begun = begun.where(F.col("known").startswith(F.substring("s", 1, 40)))
+    near = begun.select("d", "at", "known", "sentence", F.transform(F.slice("pieces", F.col("at") + 1, MOST_PIECES), normalised).alias("near"))
     joined = near.select("d", "at", "known", "sentence", "near", F.explode(F.sequence(F.lit(1), F.size("near"))).alias("k"))
-    whole = joined.where(normalised(F.array_join(F.slice("near", 1, F.col("k")), " ")) == F.col("known"))
+    whole = joined.where(F.array_join(F.array_remove(F.slice("near", 1, F.col("k")), ""), " ") == F.col("known"))
     return whole.groupBy("d", "at", "sentence").agg((F.col("at") + F.min("k") - 1).alias("to")).select("d", "at", "to", "sentence")
 
 
