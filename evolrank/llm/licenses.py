@@ -51,9 +51,32 @@ SENTENCES = {
     "gpl2_free": "This program is free software; you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation; either version 2 of the License, or (at your option) any later version.",
     "lgpl_free": "This library is free software; you can redistribute it and/or modify it under the terms of the GNU Lesser General Public License as published by the Free Software Foundation; either version 2.1 of the License, or (at your option) any later version.",
     "unlicense": "This is free and unencumbered software released into the public domain.",
+    "agpl_free": "This program is free software: you can redistribute it and/or modify it under the terms of the GNU Affero General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version.",
+    "lgpl3_free": "This program is free software: you can redistribute it and/or modify it under the terms of the GNU Lesser General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version.",
+    "epl_notice": "This program and the accompanying materials are made available under the terms of the Eclipse Public License 2.0 which is available at",
+    "bsl_notice": "Distributed under the Boost Software License, Version 1.0.",
+    "zlib_as_is": "This software is provided 'as-is', without any express or implied warranty.",
+    "zlib_grant": "Permission is granted to anyone to use this software for any purpose, including commercial applications, and to alter it and redistribute it freely, subject to the following restrictions:",
+    "zero_grant": "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted.",
+    "ofl_notice": "This Font Software is licensed under the SIL Open Font License, Version 1.1.",
+    "cc0_notice": "To the extent possible under law, the author(s) have dedicated all copyright and related and neighboring rights to this software to the public domain worldwide.",
+    "eupl_notice": "Licensed under the EUPL, Version 1.2 or - as soon they will be approved by the European Commission - subsequent versions of the EUPL (the \"Licence\");",
+    "gpl2_notice": "This work is licensed under the GNU General Public License, version 2.",
+    "cc_by_nd": "Licensed under CC BY-ND 4.0.",
+    "cc_by_nc_sa": "Licensed under CC BY-NC-SA 4.0.",
+    "cc_by_nc_nd": "Licensed under CC BY-NC-ND 4.0.",
 }
 # Other published forms of the same sentences.
-FORMS = [("apache_notice", "Licensed under the Apache License, Version 2.0 (the \"License\");")]
+FORMS = [
+    ("apache_notice", "Licensed under the Apache License, Version 2.0 (the \"License\");"),
+    ("epl_notice", "This program and the accompanying materials are made available under the terms of the Eclipse Public License 2.0 which is available at https://www.eclipse.org/legal/epl-2.0/"),
+    ("cc_by", "This work is licensed under a Creative Commons Attribution 4.0 International License."),
+    ("cc_by_sa", "This work is licensed under a Creative Commons Attribution-ShareAlike 4.0 International License."),
+    ("cc_by_nd", "This work is licensed under a Creative Commons Attribution-NoDerivatives 4.0 International License."),
+    ("cc_by_nc", "This work is licensed under a Creative Commons Attribution-NonCommercial 4.0 International License."),
+    ("cc_by_nc_sa", "This work is licensed under a Creative Commons Attribution-NonCommercial-ShareAlike 4.0 International License."),
+    ("cc_by_nc_nd", "This work is licensed under a Creative Commons Attribution-NonCommercial-NoDerivatives 4.0 International License."),
+]
 RULES = {
     "Apache-2.0 notice": ("apache_notice",),
     "Apache-2.0 header": ("apache_notice", "apache_grant", "apache_basis"),
@@ -71,7 +94,24 @@ RULES = {
     "CC-BY-SA-4.0 notice": ("cc_by_sa",),
     "MPL-2.0 notice": ("mpl_notice",),
     "Unlicense": ("unlicense",),
+    "AGPL-3.0 header": ("agpl_free", "gpl_hope"),
+    "LGPL-3.0 header": ("lgpl3_free", "gpl_hope"),
+    "EPL-2.0 notice": ("epl_notice",),
+    "BSL-1.0 notice": ("bsl_notice",),
+    "Zlib text": ("zlib_as_is", "zlib_grant"),
+    "0BSD text": ("zero_grant",),
+    "OFL-1.1 notice": ("ofl_notice",),
+    "CC0-1.0 notice": ("cc0_notice",),
+    "EUPL-1.2 notice": ("eupl_notice",),
+    "GPL-2.0 notice": ("gpl2_notice",),
+    "CC-BY-ND-4.0 notice": ("cc_by_nd",),
+    "CC-BY-NC-SA-4.0 notice": ("cc_by_nc_sa",),
+    "CC-BY-NC-ND-4.0 notice": ("cc_by_nc_nd",),
 }
+# Licences whose published short identifier stands in a marked line.
+IDENTIFIERS = ["Apache-2.0", "MIT", "BSD-2-Clause", "BSD-3-Clause", "ISC", "GPL-2.0-only", "GPL-2.0-or-later", "GPL-3.0-only", "GPL-3.0-or-later", "LGPL-2.1-only", "LGPL-2.1-or-later", "LGPL-3.0-only", "LGPL-3.0-or-later", "AGPL-3.0-only", "AGPL-3.0-or-later", "MPL-2.0", "EPL-2.0", "EUPL-1.2", "BSL-1.0", "Zlib", "0BSD", "Unlicense", "CC0-1.0", "CC-BY-4.0", "CC-BY-SA-4.0", "OFL-1.1"]
+SENTENCES |= {f"id_{name}": f"SPDX-License-Identifier: {name}" for name in IDENTIFIERS}
+RULES |= {f"{name} identifier": (f"id_{name}",) for name in IDENTIFIERS}
 WIDER = {"BSD-2-Clause text": "BSD-3-Clause text"}  # not reported where the wider rule holds from the same place
 CUT = r"\n[^\p{L}\p{N}]*\n|\n|(?<=[.!?:;])[ \t]+(?=[\p{Lu}\"'(])|(?<=\"License\"\);)[ \t]+|(?<=LICENSE-2\.0)[ \t]+"
 

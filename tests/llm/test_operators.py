@@ -223,6 +223,27 @@ def test_wrapped_licenses(spark):
     assert {(r.doc_id, r.license) for r in licenses.scan_licenses(d).collect()} == want
 
 
+def test_every_license_rule(spark):
+    import textwrap
+
+    words = lambda x: __import__("re").sub(r"[\W_]+", " ", x.lower()).strip()
+    rules = list(licenses.RULES.items())
+    rows = [(i, "*" * 70 + " " + "\n\n".join(textwrap.fill(licenses.SENTENCES[x], 70) for x in seq) + "\n\n...\nEnd", "x", 1) for i, (_, seq) in enumerate(rules)]
+    rows += [(1000 + i, f"text before.\n{body}\n", "x", 1) for i, (_, body) in enumerate(licenses.FORMS)]
+    rows += [(2000 + i, body + " and more words", "x", 1) for i, body in enumerate(licenses.SENTENCES.values())]  # ends within a piece
+    got = collections.defaultdict(dict)
+    for r in licenses.scan_licenses(spark.createDataFrame(rows, SCHEMA).repartition(4)).collect():
+        got[r.doc_id][r.license] = r.n_matches
+    for i, (rule, seq) in enumerate(rules):
+        assert got[i].get(rule) == 1, rule
+        for other in set(got[i]) - {rule}:  # only rules whose sentences are all there
+            assert {words(licenses.SENTENCES[x]) for x in licenses.RULES[other]} <= {words(licenses.SENTENCES[x]) for x in seq}
+    for i, (sentence, _) in enumerate(licenses.FORMS):
+        assert {r for r, seq in rules if seq == (sentence,)} <= set(got[1000 + i])
+    ended = [x for x in licenses.SENTENCES.values() if x[-1] not in ".:;"]
+    assert ended and not [x for i, x in enumerate(licenses.SENTENCES.values()) if x in ended and got[2000 + i]]
+
+
 def test_toxic_grammar_reads_clauses():
     g = toxicity.Grammar(["vequ"])
     read = lambda t: dict(zip(toxicity.LABELS, g.read(t)))
