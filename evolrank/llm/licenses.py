@@ -148,9 +148,10 @@ def sentence_hits(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     begun = spread.where("s != ''").withColumn("first", F.substring_index("s", " ", 1)).join(known, "first")
     begun = begun.where(F.col("known").startswith(F.substring("s", 1, 40)))
     near = begun.select("d", "at", "known", "sentence", F.transform(F.slice("pieces", F.col("at") + 1, MOST_PIECES), normalised).alias("near"))
-    joined = near.select("d", "at", "known", "sentence", "near", F.explode(F.sequence(F.lit(1), F.size("near"))).alias("k"))
-    whole = joined.where(F.array_join(F.array_remove(F.slice("near", 1, F.col("k")), ""), " ") == F.col("known"))
-    return whole.groupBy("d", "at", "sentence").agg((F.col("at") + F.min("k") - 1).alias("to")).select("d", "at", "to", "sentence")
+    words = lambda pieces: F.array_join(F.array_remove(pieces, ""), " ")
+    likely = near.where(F.concat(words(F.col("near")), F.lit(" ")).startswith(F.concat("known", F.lit(" "))))
+    last = F.get(F.filter(F.sequence(F.lit(1), F.size("near")), lambda k: words(F.slice("near", 1, k)) == F.col("known")), 0)  # null: the sentence ends within a piece
+    return likely.withColumn("to", F.col("at") + last - 1).where("to is not null").groupBy("d", "at", "sentence").agg(F.min("to").alias("to")).select("d", "at", "to", "sentence")
 
 
 def match_rules(hits: DataFrame) -> DataFrame:
