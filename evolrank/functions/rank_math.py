@@ -47,3 +47,18 @@ def recommend(update_kind: str, batch_fraction: float, family: str = "", error_m
 
 def recommend_column(update_kind: Column, batch_fraction: Column, error_matters: Column) -> Column:
     return F.when(error_matters | ((update_kind == "random") & (batch_fraction > 1e-4)), "warm").otherwise("grow_prune")
+
+
+def rank_percentile(ranks: DataFrame, vertices: list, most: int = 1000) -> DataFrame:
+    """(v, below): the share of all vertices ranked lower than each asked one, in one pass without a sort.
+
+    ``vertices`` are at most ``most`` values named by the caller; those that have no rank give no row.
+    """
+    if len(vertices) > most:
+        raise ValueError(f"at most {most} vertices can be asked at once")
+    asked = ranks.where(F.col("v").isin(vertices)).select("v", "rank").collect()
+    if not asked:
+        return ranks.select("v", F.lit(0.0).alias("below")).limit(0)
+    lower = F.array(*[F.avg((F.col("rank") < r.rank).cast("double")) for r in asked])
+    return ranks.agg(lower.alias("shares")).select(F.posexplode("shares").alias("at", "share")).select(
+        F.element_at(F.array(*[F.lit(r.v) for r in asked]), F.col("at") + 1).alias("v"), F.round("share", 9).alias("below"))

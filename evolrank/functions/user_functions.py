@@ -26,3 +26,10 @@ class NeighbourPairs:
         words = (text or "").split(" ")
         for a, b in zip(words, words[1:], strict=False):
             yield (f"{a} {b}",)
+
+
+def block_sums(blocks):
+    """(v, total) of each block of (v, out_deg): the shares that reach a vertex, summed within the block."""
+    for block in blocks:
+        total = (1.0 / block["out_deg"]).groupby(block["v"]).sum()
+        yield total.rename("total").rename_axis("v").reset_index()

@@ -120,14 +120,36 @@ def teleport_rank(edges: DataFrame, cfg: RankConfig = RankConfig()) -> RankResul
     return _loop(g, cfg, step)
 
 
-def strip_dead_ends(edges: DataFrame, most_rounds: int = 100) -> DataFrame:
-    """Edges left after dead ends are removed again and again; it may be none."""
+def personal_rank(g: Graph, sources: DataFrame, cfg: RankConfig = RankConfig()) -> RankResult:
+    """Jumps lead to the vertices of ``sources`` (v) only, in equal shares; with all vertices it is the static ranking.
+
+    Sources that the graph lacks are ignored; without any, an error is raised.
+    """
+    with fixed_partitioning(g.edges.sparkSession):
+        home = settle(sources.select("v").distinct().join(g.degrees.select("v"), "v", "left_semi"))
+    many = home.count()
+    if not many:
+        raise ValueError("no source is a vertex of the graph")
+    share = home.select("v", F.lit(1.0 / many).alias("home"))
+
+    def step(g: Graph, ranks: DataFrame, i: int) -> DataFrame:
+        out = ranks.join(g.degrees, "v").select(F.col("v").alias("src"), (F.col("rank") / F.col("out_deg")).alias("share"))
+        sums = g.edges.join(out, "src").groupBy(F.col("dst").alias("v")).agg(F.sum("share").alias("total"))
+        closed = _close(g, ranks, sums, cfg).join(share, "v", "left")
+        return closed.select("v", (F.col("rank") + (1 - cfg.alpha) * (F.coalesce("home", F.lit(0.0)) - 1.0 / g.n)).alias("rank"), "prev", "visits")
+
+    return _loop(g, cfg, step)
+
+
+def strip_dead_ends(edges: DataFrame) -> DataFrame:
+    """Edges left after dead ends are removed until none remains; it may be none."""
     now = settle(edges)
-    for _ in range(most_rounds):
-        alive = settle(now.join(now.select(F.col("src").alias("dst")).distinct(), "dst", "left_semi").select("src", "dst"))
-        if alive.count() == now.count():
+    left = now.count()
+    while left:
+        now = settle(now.join(now.select(F.col("src").alias("dst")).distinct(), "dst", "left_semi").select("src", "dst"))
+        before, left = left, now.count()
+        if left == before:
             break
-        now = alive
     return now
 
 

@@ -232,6 +232,20 @@ def _teleport(spark, sf):
     return baselines.teleport_rank(settle(G.static_edges(links))).report()
 
 
+query("rank_personal", _with("user_relay", f"""home AS (SELECT v, 1.0 / count(*) OVER () AS h FROM verts WHERE v % 7 = 0),
+it(i, v, r, d) AS (SELECT 0, v, CAST(1.0 / (SELECT n FROM num) AS DOUBLE), CAST('inf' AS DOUBLE) FROM verts UNION ALL
+  SELECT o.i + 1, o.v, x.nr, max(abs(x.nr - o.r)) OVER () FROM it o JOIN (
+    SELECT e.dst AS v, 0.15 * coalesce(max(h.h), 0) + 0.85 * sum(s.r / g.out_deg) AS nr
+    FROM it s JOIN edges e ON e.src = s.v JOIN deg g ON g.v = s.v LEFT JOIN home h ON h.v = e.dst GROUP BY e.dst) x ON x.v = o.v
+  WHERE o.d > {CFG.tol} AND o.i < {CFG.max_iter})""") + S.last("it"))(
+    lambda spark, sf: (lambda g: baselines.personal_rank(g, g.degrees.where("v % 7 = 0").select("v"), CFG).report())(loaded(spark, sf, "user_relay")))
+# Page links have no cycle and fall away step by step; the relay of users is all cycles and stays.
+query("strip_two_parts", _with("site_links", f"""relay AS ({S.TEMPORAL['user_relay']}),
+parts AS (SELECT src, dst FROM plain UNION SELECT CAST(src AS VARCHAR), CAST(dst AS VARCHAR) FROM relay WHERE src <> dst),
+far(a, b) AS (SELECT src, dst FROM parts UNION SELECT far.a, e.dst FROM far JOIN parts e ON e.src = far.b),
+ring AS (SELECT DISTINCT a AS v FROM far WHERE a = b),
+alive AS (SELECT v FROM ring UNION SELECT far.a FROM far JOIN ring ON ring.v = far.b)""") + "SELECT src, dst FROM parts WHERE dst IN (SELECT v FROM alive)")(
+    lambda spark, sf: baselines.strip_dead_ends(G.static_edges(catalog.site_links(spark, sf).select("src", "dst").unionByName(catalog.user_relay(spark, sf).select(F.col("src").cast("string"), F.col("dst").cast("string"))))))
 query("rank_stripped")(lambda spark, sf: (lambda e: e.groupBy("src").agg(F.count("*").alias("left")))(baselines.strip_dead_ends(G.static_edges(catalog.part_flow(spark, sf)))))
 query("rank_block_async")(lambda spark, sf: baselines.block_async_rank(loaded(spark, sf, "user_relay"), CFG).report())
 query("rank_adaptive")(lambda spark, sf: baselines.adaptive_rank(loaded(spark, sf, "user_relay"), CFG).report())
@@ -287,3 +301,12 @@ def _speedup(spark, sf):
 def _explain(spark, sf):
     g = loaded(spark, sf, "part_flow")
     return g.edges.where("dst = 7").join(g.degrees, F.col("src") == F.col("v")).select("v", F.round(F.lit(1.0 / g.n) / F.col("out_deg"), 12).alias("share"))
+
+
+_ASKED = (1, 7, 50, 100)
+
+
+@query("rank_percentile", _STEP + f"SELECT a.v, round(count(*) FILTER (WHERE round(b.plain, 9) < round(a.plain, 9)) / CAST(count(*) AS DOUBLE), 9) AS below FROM step a, step b WHERE a.v IN {_ASKED} GROUP BY a.v")
+def _percentile(spark, sf):
+    ranks = _step(spark, sf)[1].select("v", F.round("rank", 9).alias("rank"))
+    return rank_math.rank_percentile(ranks, list(_ASKED))

@@ -7,7 +7,7 @@ import uuid
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
-from ..functions.user_functions import NeighbourPairs, euclidean, relative_change
+from ..functions.user_functions import NeighbourPairs, block_sums, euclidean, relative_change
 from ..operators import graph as G
 from ..sources import catalog
 from ..sources.matrix_text import MatrixText
@@ -58,6 +58,17 @@ def _snapshot(spark, sf):
     return spark.read.parquet(path).where("version = 1").select("src", "dst")
 
 
+@query("source_schema_check", "SELECT * FROM (VALUES ('dst', 'bigint', 'bigint', true), ('src', 'bigint', 'bigint', true), ('ts', 'string', 'timestamp', false)) t(field, inferred, wanted, same)")
+def _schema(spark, sf):
+    """Types that the JSON reader infers beside those that a feed of edges must have."""
+    path = _folder(spark)
+    _flow(spark, sf).limit(1000).select("src", "dst", F.lit("2024-01-01 00:00:00").alias("ts")).write.json(path)
+    inferred = {f.name: f.dataType.simpleString() for f in spark.read.json(path).schema}
+    wanted = {"src": "bigint", "dst": "bigint", "ts": "timestamp"}
+    rows = [(k, inferred.get(k), wanted.get(k), inferred.get(k) == wanted.get(k)) for k in sorted({*inferred, *wanted})]
+    return spark.createDataFrame(rows, "field string, inferred string, wanted string, same boolean")
+
+
 # ---- projections and joins ---------------------------------------------------------------------------------------
 
 query("proj_contribution", _PF + "SELECT v, round(CAST(0.85 AS DOUBLE) / out_deg, 9) AS share FROM deg")(
@@ -69,6 +80,10 @@ query("join_theta", "SELECT a.s_suppkey AS richer, b.s_suppkey AS poorer FROM su
         s.select("s_nationkey", F.col("s_suppkey").alias("poorer"), F.col("s_acctbal").alias("y")), "s_nationkey").where("x > y + 5000").select("richer", "poorer"))(_t(spark, sf, "supplier")))
 
 
+query("join_cross_n", _PF + "SELECT v, round(out_deg / CAST(n AS DOUBLE), 9) AS share FROM deg CROSS JOIN num")(
+    lambda spark, sf: (lambda d: d.crossJoin(F.broadcast(d.agg(F.count("*").alias("n")))).select("v", F.round(F.col("out_deg") / F.col("n"), 9).alias("share")))(G.degrees(G.with_self_loops(_flow(spark, sf)))))
+
+
 @query("join_interval", "SELECT a.event_id AS first_id, b.event_id AS next_id FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR")
 def _interval(spark, sf):
     """Events of one user within an hour: hour buckets are join keys, so a busy user is split by time."""
@@ -128,6 +143,15 @@ query("udaf_l2", "SELECT p_brand, round(sqrt(sum(p_retailprice * p_retailprice))
     lambda spark, sf: _t(spark, sf, "part").groupBy("p_brand").agg(F.round(euclidean("p_retailprice"), 4).alias("l2")))
 
 
+@query("udf_block_kernel", _PF + "SELECT dst AS v, round(sum(CAST(1.0 AS DOUBLE) / out_deg), 9) AS total FROM edges JOIN deg ON deg.v = src GROUP BY dst")
+def _kernel(spark, sf):
+    """In-contributions summed block by block in Python; a block is an Arrow batch, so a hub never fills one."""
+    edges = G.with_self_loops(_flow(spark, sf))
+    rows = edges.join(G.degrees(edges).select(F.col("v").alias("src"), "out_deg"), "src").select(F.col("dst").alias("v"), "out_deg")
+    part = rows.mapInPandas(block_sums, "v long, total double")
+    return part.groupBy("v").agg(F.round(F.sum("total"), 9).alias("total"))
+
+
 @query("udtf_shingles", "SELECT p_partkey, w[i] || ' ' || w[i + 1] AS pair FROM (SELECT p_partkey, w, unnest(range(1, len(w))) AS i FROM (SELECT p_partkey, string_split(p_name, ' ') AS w FROM part))")
 def _pairs(spark, sf):
     spark.udtf.register("neighbour_pairs", F.udtf(NeighbourPairs, returnType="pair string"))

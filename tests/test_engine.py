@@ -5,6 +5,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from evolrank.config import RankConfig
+from evolrank.functions import rank_math
 from evolrank.operators import frontier
 from evolrank.operators import graph as G
 from evolrank.plans import baselines, engine, queries
@@ -171,3 +172,31 @@ def test_queries_run_until_settled(spark, toy, monkeypatch):
     assert not {x[0] for x in given if isinstance(x, tuple)} & {"rounds", "steps"}
     assert all(x == RankConfig() for x in [*given, *(x[1] for x in given if isinstance(x, tuple))] if isinstance(x, RankConfig))
     assert walk(toy, walks=1, cfg=RankConfig(alpha=0.2)).ranks.agg(F.round(F.sum("rank"), 9)).first()[0] == 1
+
+
+def test_personal_ranks(spark, toy):
+    sources, cfg = spark.createDataFrame([(3,), (3,), (99,)], "v long"), RankConfig(max_iter=6)
+    edges = EDGES + [(v, v) for v in range(8)]
+    out = np.bincount([a for a, _ in edges], minlength=8)
+    for home, given in ((np.eye(8)[3], sources), (np.full(8, 1 / 8), toy.degrees.select("v"))):
+        want = np.full(8, 1 / 8)
+        for _ in range(cfg.max_iter):
+            want = 0.15 * home + 0.85 * np.array([sum(want[a] / out[a] for a, b in edges if b == v) for v in range(8)])
+        assert np.abs(vector(baselines.personal_rank(toy, given, cfg)) - want).max() < 1e-12
+    with pytest.raises(ValueError):
+        baselines.personal_rank(toy, sources.where("v = 99"))
+
+
+def test_stripping_reaches_the_end_of_a_long_tail(spark):
+    tail = [(v, v + 1) for v in range(10, 18)]
+    left = baselines.strip_dead_ends(spark.createDataFrame([*EDGES, (0, 10), *tail], "src long, dst long"))
+    assert {tuple(r) for r in left.select("src", "dst").collect()} == set(EDGES)
+    assert baselines.strip_dead_ends(spark.createDataFrame(tail, "src long, dst long")).count() == 0
+
+
+def test_percentiles_of_asked_vertices(spark):
+    ranks = spark.createDataFrame([(v, float(v // 2)) for v in range(10)], "v long, rank double")
+    assert {tuple(r) for r in rank_math.rank_percentile(ranks, [0, 1, 7, 42]).collect()} == {(0, 0.0), (1, 0.0), (7, 0.6)}
+    assert rank_math.rank_percentile(ranks, [42]).count() == 0
+    with pytest.raises(ValueError):
+        rank_math.rank_percentile(ranks, list(range(2000)))
