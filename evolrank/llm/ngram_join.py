@@ -31,6 +31,8 @@ from __future__ import annotations
 
 import hashlib
 import math
+from functools import reduce
+from operator import and_
 
 import numpy as np
 import pandas as pd
@@ -52,6 +54,8 @@ BATCH_REPEATS = 3  # times a slice of texts must hold a token for it to be count
 VERIFY_COST = 40.0  # of one verified pair, in postings read
 CLASS_RATIO = 1.02  # between neighbouring size classes of a posting list
 MOST_CROSS = 4  # largest L across components, where shorter prefixes meet in fewer lists
+CLASS_BITS = 63  # of a list's mask of the size classes that its members are in
+CROWDED = 0.5  # members met in all lists, for each token of a set, from which the set is compared whole
 MOST_TURNS, PAIRS_PER_POSTING = 8, 8  # turns of comparing with leaders, and the pairs a posting that end them
 
 
@@ -175,9 +179,11 @@ def without(rows: DataFrame, ids: DataFrame) -> DataFrame:
 
 
 def prefix_postings(sets: DataFrame, percent: int = PERCENT) -> DataFrame:
-    """(token, d, n, p, ell, lev): prefix tokens at place p, with the level at which each enters.
+    """(token, d, n, p, ell, lev, own): prefix tokens at place p, with the level at which each enters.
 
-    ``sets``: (d, n, tokens) of class representatives.
+    ``sets``: (d, n, tokens) of class representatives.  ``own`` counts the document's
+    longest-prefix tokens that no other holds.  Documents that no set of any size
+    can be similar to are left out.
     """
     spread = sets.select("d", "n", F.posexplode("tokens").alias("p", "token"))
     # Written before the join: its shuffle is freed, and a token that very many hold is then split by the planner.
@@ -194,21 +200,24 @@ def _placed(kept: DataFrame, percent: int) -> DataFrame:
     # Estimated cost of each L: postings read, and pairs that can reach L matches.
     by_doc = Window.partitionBy("d")
     reads = [F.sum(F.when(F.col("lev") <= ell, F.col("df") - 1).otherwise(0)).over(by_doc) for ell in range(1, MOST_MATCHES + 1)]
+    # A similar set shares L tokens of the L-prefix, at every L: a document with fewer that others hold has no partner.
+    held = [F.sum((F.col("lev") <= ell).cast("long")).over(by_doc) for ell in range(1, MOST_MATCHES + 1)]
+    hope = reduce(and_, (h >= F.least(F.lit(ell), least) for ell, h in enumerate(held, 1)))
+    own = F.col("n") - least + F.least(F.lit(MOST_MATCHES), least) - F.element_at(F.array(*held), F.least(F.lit(MOST_MATCHES), least).cast("int"))
     costs = F.array(*[reads[ell - 1] * (1.0 + VERIFY_COST / ell) for ell in range(1, MOST_MATCHES + 1)])
     usable = F.slice(costs, 1, F.least(F.lit(MOST_MATCHES), F.greatest(F.lit(1), least.cast("int"))))
-    priced = placed.select("token", "d", "n", "p", "lev", usable.alias("usable"))
-    return priced.withColumn("ell", F.array_position("usable", F.array_min("usable")).cast("int")).where("lev <= ell").select("token", "d", "n", "p", "ell", F.col("lev").cast("int").alias("lev"))
+    priced = placed.select("token", "d", "n", "p", "lev", usable.alias("usable"), own.alias("own"), hope.alias("hope")).where("hope")
+    return priced.withColumn("ell", F.array_position("usable", F.array_min("usable")).cast("int")).where("lev <= ell").select("token", "d", "n", "p", "ell", F.col("lev").cast("int").alias("lev"), "own")
 
 
 def leader_pairs(postings: DataFrame, turn: int = 0, percent: int = PERCENT) -> DataFrame:
     """(a, b): each document with the leader, from another component, that it meets most often.
 
-    ``postings`` carry the component c.  A list's first leader is the member that has
-    its token at the earliest place: it has the fewest tokens of its own, as the
-    text that others were copied from.  Later leaders come in an order that changes
+    ``postings`` carry the component c.  A list's first leader is the member with the
+    fewest tokens of its own, as the text that others were copied from.  Later leaders come in an order that changes
     with the turn and is the same for all lists.
     """
-    order = F.struct((F.xxhash64(F.lit(turn), "d") if turn else F.col("p").cast("long")).alias("o"), "d", "n", "c")
+    order = F.struct((F.xxhash64(F.lit(turn), "d") if turn else F.col("own")).alias("o"), "d", "n", "c")
     leaders = materialise(postings.groupBy("token").agg(F.min(order).alias("m"), F.count(F.lit(1)).alias("k")).where("k > 1").select("token", "m"))
     # A leader is met on a part of the common tokens only, so the bar here is one hit.
     met = postings.join(leaders, "token").where((F.col("c") != F.col("m.c")) & (100 * F.least("n", "m.n") >= percent * F.greatest("n", "m.n")))
@@ -219,11 +228,20 @@ def leader_pairs(postings: DataFrame, turn: int = 0, percent: int = PERCENT) ->
     return made
 
 
+def _size_class(n: Column) -> Column:
+    return F.floor(F.log(n.cast("double")) / math.log(CLASS_RATIO)).cast("int")
+
+
+def _class_bit(g: Column) -> Column:
+    return F.pmod(g, F.lit(CLASS_BITS)).cast("int")
+
+
 def labelled(postings: DataFrame, components: DataFrame) -> DataFrame:
-    """Postings of the lists whose members are in several components, with the component c and the list's range of sizes."""
-    named = postings.join(components, postings["d"] == components["v"], "left").select("token", "d", "n", "p", "ell", "lev", F.coalesce("component", "d").alias("c"))
-    open_ = named.groupBy("token").agg(F.min("c").alias("lo"), F.max("c").alias("hi"), F.min("n").alias("n_lo"), F.max("n").alias("n_hi")).where("lo < hi").drop("lo", "hi")
-    open_ = materialise(open_)
+    """Postings of the lists whose members are in several components, with the component c and the list's members k, range of sizes and mask of size classes."""
+    named = postings.join(components, postings["d"] == components["v"], "left").select("token", "d", "n", "p", "ell", "lev", "own", F.coalesce("component", "d").alias("c"))
+    in_list = named.withColumn("bit", F.call_function("shiftleft", F.lit(1).cast("long"), _class_bit(_size_class(F.col("n"))))).groupBy("token")
+    spans = [F.min("c").alias("lo"), F.max("c").alias("hi"), F.min("n").alias("n_lo"), F.max("n").alias("n_hi"), F.count(F.lit(1)).alias("k"), F.bit_or("bit").alias("classes")]
+    open_ = materialise(in_list.agg(*spans).where("lo < hi").drop("lo", "hi"))
     out = materialise(named.join(open_, "token"))
     release(open_)
     return out
@@ -258,8 +276,26 @@ def leader_links(postings: DataFrame, texts: DataFrame, percent: int = PERCENT,
     return links, live
 
 
-def _size_class(n: Column) -> Column:
-    return F.floor(F.log(n.cast("double")) / math.log(CLASS_RATIO)).cast("int")
+def with_alone(live: DataFrame, texts: DataFrame, k: int = SHINGLE_WORDS) -> DataFrame:
+    """``live`` with the column alone: of a crowded document, its tokens that no other crowded one holds; else null.
+
+    A document is crowded if its lists hold many members for the size of its set, as
+    those of texts copied with many changes do.  Two crowded ones share no token that
+    is alone, which tells most such copies apart without a look at the pair.  The
+    members that all other documents meet are at most their tokens in number.
+    """
+    crowd = materialise(live.groupBy("d").agg(F.sum(F.col("k") - 1).alias("met"), F.min("n").alias("n")).where(F.col("met") > CROWDED * F.col("n")).select("d"))
+
+    def start():
+        return lambda some: {"tokens": _list_array([shingle_set(t, k) for t in some])}
+
+    # A document that the filter lets through by chance only makes fewer tokens alone.
+    whole = map_texts(texts.where(bit_filter(crowd)(F.col("d"))), start, "tokens array<long>", "d")
+    single = whole.select("d", F.explode("tokens").alias("token")).groupBy("token").agg(F.count(F.lit(1)).alias("df"), F.min("d").alias("d")).where("df = 1")
+    told = materialise(crowd.join(single.groupBy("d").agg(F.count(F.lit(1)).alias("alone")), "d", "left").select("d", F.coalesce("alone", F.lit(0)).alias("alone")))
+    out = materialise(live.join(told, "d", "left").select(*live.columns, "alone"))
+    release(crowd, told)
+    return out
 
 
 def _with_hope(live: DataFrame, larger_partner: bool, percent: int) -> DataFrame:
@@ -269,35 +305,44 @@ def _with_hope(live: DataFrame, larger_partner: bool, percent: int) -> DataFrame
     their first ell common tokens are among the first n - w + ell of each.  Taking
     the least m of the class makes the prefix shorter than one for any partner.  A
     document that has fewer than ell open postings there, at every ell up to its
-    own, cannot have a partner in the class.
+    own, cannot have a partner in the class; neither can one with too many tokens
+    of its own.  Lists without a member in the class are passed over.
     """
     g, n = F.col("g"), F.col("n")
     steps = math.floor(math.log(100 / percent) / math.log(CLASS_RATIO)) + 1
     reach = (F.col("g_hi") - g) if larger_partner else (g - F.col("g_lo"))
     spread = live.withColumn("step", F.explode(F.sequence(F.lit(0), F.least(F.lit(steps), reach))))
     partner = g + F.col("step") if larger_partner else g - F.col("step")
+    there = F.call_function("getbit", "classes", _class_bit(partner)) == 1
+    spread = spread.where(there & ((F.col("step") > 0) | (F.col("k") > 2) | (F.col("g_lo") == F.col("g_hi"))))
     least = F.greatest(F.floor(F.pow(F.lit(CLASS_RATIO), partner) * (1 - 1e-9)).cast("long"), owed(n, percent))
     shared = F.floor((percent * (n + least) + 99 + percent) / (100 + percent)).cast("long")
-    tight = spread.where(100 * n >= percent * least).withColumn("lev", F.greatest(F.lit(1), F.col("p") + 1 - (n - shared)).cast("int")).where("lev <= ell")
+    tight = spread.where((100 * n >= percent * least) & (shared <= n - F.col("own"))).withColumn("lev", F.greatest(F.lit(1), F.col("p") + 1 - (n - shared)).cast("int")).where("lev <= ell")
     one = Window.partitionBy("d", "step")
     held = [F.sum((F.col("lev") <= ell).cast("int")).over(one) for ell in range(1, MOST_MATCHES + 1)]
     most = F.greatest(F.lit(0), *[F.when((F.col("ell") >= ell) & (held[ell - 1] >= ell), ell).otherwise(0) for ell in range(1, MOST_MATCHES + 1)])
     key = g if larger_partner else partner
-    return tight.withColumn("most", most).where("lev <= most").select("token", key.alias("small"), "step", "d", "n", "p", "ell", "lev", "c")
+    return tight.withColumn("most", most).where("lev <= most").select("token", key.alias("small"), "step", "d", "n", "p", "ell", "lev", "c", "alone")
 
 
 def cross_pairs(live: DataFrame, percent: int = PERCENT) -> DataFrame:
-    """(a, b) of every pair in different components that shares enough prefix tokens."""
+    """(a, b) of every pair in different components that shares enough prefix tokens and has not too many others.
+
+    ``live``: postings of ``with_alone``.
+    """
     ends = {at: _size_class(F.col("n" + at)) for at in ("", "_lo", "_hi")}
     classed = live.withColumns({"g" + at: g for at, g in ends.items()}).withColumn("ell", F.least("ell", F.lit(MOST_CROSS)))
-    side = lambda df, at: df.select("token", "small", "step", F.col("d").alias(at), F.col("n").alias("n" + at), F.col("p").alias("p" + at), F.col("lev").alias("l" + at), F.col("ell").alias("e" + at), F.col("c").alias("c" + at))
+    side = lambda df, at: df.select("token", "small", "step", F.col("d").alias(at), F.col("n").alias("n" + at), F.col("p").alias("p" + at), F.col("lev").alias("l" + at), F.col("ell").alias("e" + at), F.col("c").alias("c" + at), F.col("alone").alias("s" + at))
     x, y = side(_with_hope(classed, True, percent), "a"), side(_with_hope(classed, False, percent), "b")
     met = x.join(y, ["token", "small", "step"]).where((F.col("ca") != F.col("cb")) & ((F.col("step") > 0) | (F.col("ca") < F.col("cb"))))
     ell = F.least("ea", "eb")
     # Common tokens before and after this one are no more than the shorter of the two stretches.
     room = F.least("pa", "pb") + F.least(F.col("na") - F.col("pa"), F.col("nb") - F.col("pb"))
     near = ((100 + percent) * room >= percent * (F.col("na") + F.col("nb"))) & (100 * F.least("na", "nb") >= percent * F.greatest("na", "nb"))
-    fits = met.where((F.col("la") <= ell) & (F.col("lb") <= ell) & near)
+    # Two crowded sets share at most what is not alone in either.
+    left = F.least(F.col("na") - F.col("sa"), F.col("nb") - F.col("sb"))
+    told = F.col("sa").isNotNull() & F.col("sb").isNotNull() & ((100 + percent) * left < percent * (F.col("na") + F.col("nb")))
+    fits = met.where((F.col("la") <= ell) & (F.col("lb") <= ell) & near & ~told)
     return fits.groupBy("a", "b").agg(F.count(F.lit(1)).alias("hits"), F.min(ell).alias("ell")).where("hits >= ell").select("a", "b")
 
 
@@ -359,8 +404,10 @@ def similar_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     release(postings, with_list)
     star, open_lists = leader_links(live, source, percent, k)
     release(live)
-    pairs = materialise(cross_pairs(open_lists, percent))
+    told = with_alone(open_lists, source, k)
     release(open_lists)
+    pairs = materialise(cross_pairs(told, percent))
+    release(told)
     rest = materialise(verified(pairs, source, percent, k))
     release(pairs)
     links = star.unionByName(rest).unionByName(copies)
